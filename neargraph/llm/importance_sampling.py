@@ -21,11 +21,11 @@ from neargraph.runtime import Scratch, prepare
 
 BUCKETS = 10_000
 #: Share of all documents that the sample keeps.
-KEEP = 0.8
+KEEP = 0.85
 #: Added to each bucket of the target model, as a share of an even spread over this many n-grams.
 SMOOTHING = 10_000.0
 #: Spread of the noise against weights per n-gram.
-TEMPERATURE = 0.05
+TEMPERATURE = 0.02
 
 
 class Hasher:
