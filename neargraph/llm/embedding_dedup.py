@@ -25,10 +25,10 @@ THRESHOLD = 0.93
 SHARD_ROWS = 768
 #: Bounds of the fit: sampled vectors and pivots. Every row is indexed.
 SAMPLE_ROWS, MAX_PIVOTS = 20_000, 4096
-OVERLAP = 3
+OVERLAP = 4
 POOL, RANDOM, DEGREE, ALPHA = 28, 4, 16, 1.2
 BEAM, SLACK = 16, 0.04
-AUDIT_ROWS, AUDIT_RECALL = 512, 0.97
+AUDIT_ROWS, AUDIT_RECALL = 512, 0.995
 #: Queries that one task searches in a shard; a larger shard goes to several tasks.
 SLICE_ROWS = 4096
 
@@ -89,7 +89,7 @@ def _matrix(vecs: pd.Series) -> np.ndarray:
 
 
 def robust_graph(x: np.ndarray, *, pool: int = POOL, random: int = RANDOM, degree: int = DEGREE, alpha: float = ALPHA, seed: int = 0) -> list[np.ndarray]:
-    """Flat graph over unit vectors: each node's candidates, pruned by ``alpha``, with the reverse edges up to twice the degree."""
+    """Flat graph over unit vectors: each node's candidates, pruned by ``alpha``, with the reverse edges, at most twice as many, nearest first."""
     n = len(x)
     if n < 2:
         return [np.zeros(0, np.int64)] * n
@@ -118,10 +118,11 @@ def robust_graph(x: np.ndarray, *, pool: int = POOL, random: int = RANDOM, degre
             alive[np.arange(len(rows)), first] = False
             if not alive.any():
                 break
-    a, b = np.nonzero(picked >= 0)[0], picked[picked >= 0]
-    back = np.argsort(b, kind="stable")
+    a, rank = np.nonzero(picked >= 0)
+    b = picked[a, rank]
+    back = np.lexsort((a, rank, b))  # who has a node for its nearest comes first
     starts = np.searchsorted(b[back], np.arange(n + 1))
-    return [np.unique(np.r_[picked[i][picked[i] >= 0], a[back[starts[i] : starts[i + 1]]][:degree]]) for i in range(n)]
+    return [np.unique(np.r_[picked[i][picked[i] >= 0], a[back[starts[i] : starts[i + 1]]][: 2 * degree]]) for i in range(n)]
 
 
 def _build(pdf: pd.DataFrame) -> pd.DataFrame:
@@ -219,7 +220,10 @@ def _search(pdf: pd.DataFrame, threshold: float) -> pd.DataFrame:
     adjacency = np.full((len(reps), max(1, max(map(len, lists)))), -1, np.int64)
     for i, own in enumerate(lists):
         adjacency[i, : len(own)] = own
-    q, c = range_search(x, adjacency, np.flatnonzero(pdf["asks"].to_numpy()), threshold)
+    asks = pdf["asks"].to_numpy()
+    q, c = range_search(x, adjacency, np.flatnonzero(asks), threshold)
+    both = np.unique(np.r_[q * len(reps) + c, (c * len(reps) + q)[asks[c]]])  # what one side has found, the other has too
+    q, c = both // len(reps), both % len(reps)
     m = max(map(len, pdf["shards"]))
     shards = np.full((len(reps), m), -1, np.int64)
     for i, own in enumerate(pdf["shards"]):
