@@ -26,7 +26,7 @@ BLOCK = {
     "header", "hgroup", "hr", "html", "li", "main", "menu", "nav", "ol", "p", "pre", "section", "summary", "table", "tbody", "td", "tfoot", "th", "thead", "tr", "ul", "caption", "head",
 }
 DROPPED = {"script", "style", "noscript", "template", "title", "head", "nav", "footer", "header", "aside", "form", "button", "select", "option", "input", "textarea", "iframe", "svg", "math", "object", "canvas", "audio", "video", "menu", "dialog", "label", "fieldset", "noframes", "noembed", "xmp", "map"}
-CONTAINERS = {"article", "main", "section", "div", "td", "body", "blockquote"}
+CONTAINERS = {"html", "article", "main", "section", "div", "td", "body", "blockquote"}
 CLOSES_P = BLOCK - {"html", "head", "body"}
 ITEMS = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}}
 #: Words of class, id or role names that mark what does not belong to the article.
