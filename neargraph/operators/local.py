@@ -5,7 +5,9 @@ Nodes are numbered 0..N-1 inside a shard, so a graph of fixed degree is a dense
 
 from __future__ import annotations
 
+from bisect import insort
 from dataclasses import dataclass, field
+from heapq import heappop, heappush
 
 import numpy as np
 
@@ -338,22 +340,27 @@ class VisitedSet:
         self.resets = np.zeros(queries, np.int64)
 
     def insert(self, rows: np.ndarray, ids: np.ndarray) -> np.ndarray:
-        """Registers one id for each row; True where it had not been seen."""
+        """Registers ids, those of one row distinct; True where an id had not been seen."""
         mask = (1 << self.bits) - 1
         slot = (ids * 2654435761 >> 7) & mask
         new = np.zeros(len(rows), bool)
         todo = np.arange(len(rows))
-        for _ in range(mask + 1):
-            at = self.table[rows[todo], slot[todo]]
-            empty = at < 0
-            self.table[rows[todo[empty]], slot[todo[empty]]] = ids[todo[empty]]
-            new[todo[empty]] = True
-            todo = todo[~empty & (at != ids[todo])]
+        for _ in range(2 * mask + 2):
+            r, s = rows[todo], slot[todo]
+            at = self.table[r, s]
+            empty = np.flatnonzero(at < 0)
+            if len(empty):
+                first = empty[np.unique(r[empty] * (mask + 1) + s[empty], return_index=True)[1]]  # of several for one slot, the first
+                self.table[r[first], s[first]] = ids[todo[first]]
+                new[todo[first]] = True
+                at[first] = ids[todo[first]]
+            todo, at = todo[at != ids[todo]], at[at != ids[todo]]
             if not len(todo):
                 return new
-            self.collisions[rows[todo]] += 1
-            slot[todo] = (slot[todo] + 1) & mask
-        self.overflows[rows[todo]] += 1
+            taken = todo[at >= 0]  # those that lost a slot just now look at it once more
+            np.add.at(self.collisions, rows[taken], 1)
+            slot[taken] = (slot[taken] + 1) & mask
+        np.add.at(self.overflows, rows[todo], 1)
         new[todo] = True
         return new
 
@@ -361,9 +368,8 @@ class VisitedSet:
         """Forgets everything but the given ids (padded with -1)."""
         self.table[rows] = -1
         self.resets[rows] += 1
-        for c in range(keep.shape[1]):
-            good = keep[:, c] >= 0
-            self.insert(rows[good], keep[good, c])
+        r, c = np.nonzero(keep >= 0)
+        self.insert(rows[r], keep[r, c])
 
 
 # ---------------------------------------------------------------- search
@@ -427,13 +433,50 @@ def _first_time(cand: np.ndarray, rows: np.ndarray, seen: VisitedSet | None) ->
     np.put_along_axis(unsorted, order, twin, 1)
     fresh &= ~unsorted
     if seen is not None:
-        for c in range(cand.shape[1]):
-            r = np.flatnonzero(fresh[:, c])
-            if len(r):
-                fresh[r, c] = seen.insert(rows[r], cand[r, c])
+        r, c = np.nonzero(fresh)
+        fresh[r, c] = seen.insert(rows[r], cand[r, c])
     return fresh
 
 
+#: Batches up to this size are walked query by query: the steps of a batch cost as much for one query as for many.
+FEW_QUERIES = 4
+
+
+def _walk_few(x, adj, q, params: SearchParams, qids) -> Found:
+    """The same walk with a sorted list and a heap for each query; same ids, distances and counts as in step."""
+    n, d = adj.shape
+    k, M = params.k, params.M
+    out = Found(np.full((len(q), k), -1, np.int64), np.full((len(q), k), np.inf), np.zeros(len(q), np.int64), np.zeros(len(q), np.int64))
+    for i, target in enumerate(q):
+        start = list(dict.fromkeys(seed_nodes(qids[i : i + 1], d, params.seed, n)[0].tolist()))
+        seen, one = set(start), target[None]
+        found = sorted(zip(gathered_distances(one, x[start][None], params.metric)[0].tolist(), start, strict=True))
+        top, todo = found[:M], found[:]
+        n_dist, rounds = len(start), 0
+        while todo and rounds < params.rounds:
+            best = heappop(todo)
+            if len(top) == M and best > top[-1]:
+                break
+            rounds += 1
+            new = [u for u in adj[best[1]].tolist() if u >= 0 and u not in seen]
+            if not new:
+                continue
+            seen.update(new)
+            n_dist += len(new)
+            for entry in zip(gathered_distances(one, x[new][None], params.metric)[0].tolist(), new, strict=True):
+                if len(top) < M or entry < top[-1]:
+                    insort(top, entry)
+                    heappush(todo, entry)
+                    if len(top) > M:
+                        top.pop()
+        near = top[:k]
+        out.ids[i, : len(near)], out.dist[i, : len(near)] = [u for _, u in near], [v for v, _ in near]
+        out.n_dist[i], out.rounds[i] = n_dist, rounds
+    zero = np.zeros(len(q), np.int64)
+    out.extra.update(collisions=zero, overflows=zero, resets=zero)
+    return out
+
+
 def search_solo(x: np.ndarray, adj: np.ndarray, q: np.ndarray, params: SearchParams, qids: np.ndarray | None = None) -> Found:
     """One worker walks for each query; all queries of a batch go in step, finished ones drop out.
 
@@ -444,6 +487,8 @@ def search_solo(x: np.ndarray, adj: np.ndarray, q: np.ndarray, params: SearchPar
     k, M, p = params.k, params.M, params.p
     count = len(q)
     qids = np.arange(count) if qids is None else np.asarray(qids)
+    if count <= FEW_QUERIES and p == 1 and params.visited == "full" and params.stop == "exhausted":
+        return _walk_few(x, adj, q, params, qids)
     bits = params.bits if params.visited == "forget" else int(np.log2(table_size(params.rounds, p, d)))
     seen = None if params.visited == "none" else VisitedSet(count, bits)
     ids, dist, flag = np.full((count, M), -1, np.int64), np.full((count, M), np.inf), np.zeros((count, M), bool)

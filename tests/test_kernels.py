@@ -105,6 +105,9 @@ def test_searches_agree(data):
         other = local.search_solo(x, g, x[q], SearchParams(**kw), q)
         assert (other.ids == plain.ids).all(), kw
         assert other.n_dist.sum() >= plain.n_dist.sum()
+    for i in (0, 17, 40):  # a single query takes another path to the same walk
+        few = local.search_solo(x, g, x[q[i : i + 1]], SearchParams(), q[i : i + 1])
+        assert (few.ids[0] == plain.ids[i]).all() and few.n_dist[0] == plain.n_dist[i] and few.rounds[0] == plain.rounds[i]
     one = local.search_team(x, g, x[q], SearchParams(walkers=1), q)
     assert (one.ids == plain.ids).all()
     whole = local.search_solo(x, g, x[q], SearchParams(M=600, p=8, max_iter=200), q)
