@@ -234,7 +234,8 @@ def repeated_spans(docs: DataFrame, *, length: int = LENGTH, gram: int = GRAM, k
     candidates = rows.join(work, rows.doc_id == work.rep_id)
     windows = scratch.keep(candidates.select("doc_id", "text", "at").mapInArrow(lambda it: _window_batches(it, length, key), "w1 long, w2 int, doc_id long, s int"))
     place = F.struct("doc_id", "s")
-    twice = windows.groupBy("w1", "w2").agg(F.min(place).alias("first"), F.max(place).alias("last")).where("first < last").select("w1", "w2", "first")
+    # written, so that both sides of the join come straight from a shuffle and a common passage's rows can be split
+    twice = scratch.keep(windows.groupBy("w1", "w2").agg(F.min(place).alias("first"), F.max(place).alias("last")).where("first < last").select("w1", "w2", "first"))
     judged = windows.join(twice, ["w1", "w2"]).select("doc_id", "s", (place > F.col("first")).alias("later"), F.col("first.doc_id").alias("first_doc"))
     grouped = judged.groupBy("doc_id").agg(F.collect_list(F.struct("s", "later", "first_doc")).alias("v"))
     known = classes.join(grouped, classes.rep == grouped.doc_id, "left").where("copied or v is not null")
@@ -243,7 +244,7 @@ def repeated_spans(docs: DataFrame, *, length: int = LENGTH, gram: int = GRAM, k
     whole = classes.where("copied").join(firsts, "rep", "left").select("t1", "t2", "rep", F.coalesce("first_doc_id", "rep").alias("first_doc_id"))
     copies = texts.select("doc_id", "t1", "t2", "n_words").where(F.col("n_words") >= length).join(whole, ["t1", "t2"]).where("doc_id <> rep")
     copies = copies.select("doc_id", F.lit(0).alias("start_word"), F.col("n_words").alias("end_word"), F.lit(True).alias("later"), "first_doc_id")
-    scratch.drop(windows)
+    scratch.drop(windows, twice)
     return spans.unionByName(copies)
 
 
