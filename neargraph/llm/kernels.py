@@ -36,5 +36,20 @@ def pieces(batches: Iterator[pa.RecordBatch], max_chars: int = 4_000_000) -> Ite
             yield ids.slice(at), texts[at:]
 
 
+_RESIDENT: dict = {}
+
+
+def resident(kind: str, key=None, make=lambda: None):
+    """The one large object that a Python worker keeps between tasks; one of another kind or key takes its place.
+
+    Workers are used again by later stages, so what a stage has learned must not stay beside what the next one needs.
+    """
+    if _RESIDENT.get("is") != (kind, key):
+        _RESIDENT.clear()
+        _RESIDENT["object"] = make()
+        _RESIDENT["is"] = (kind, key)
+    return _RESIDENT["object"]
+
+
 def record(schema: pa.Schema, *columns) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([c if isinstance(c, pa.Array) else pa.array(c, f.type) for c, f in zip(columns, schema, strict=True)], schema=schema)

@@ -10,6 +10,7 @@ from __future__ import annotations
 
 import re
 import zlib
+from array import array
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 
@@ -19,7 +20,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from neargraph.llm.kernels import documents_of, pieces, record
+from neargraph.llm.kernels import documents_of, pieces, record, resident
 from neargraph.runtime import prepare
 
 WINDOW, STRIDE = 96, 80
@@ -52,10 +53,12 @@ def word_bucket(word: str) -> int:
 
 def _buckets(words: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Word buckets; n-gram buckets of all words in a row; how many of them belong to each word."""
-    grams = [char_grams(w) for w in words]
-    counts = np.fromiter(map(len, grams), np.int64, len(grams))
-    flat = np.fromiter((g for own in grams for g in own), np.int64, int(counts.sum()))
-    return np.fromiter(map(word_bucket, words), np.int64, len(words)), flat, counts
+    flat, counts = array("i"), np.empty(len(words), np.int32)
+    for i, word in enumerate(words):
+        own = char_grams(word)
+        counts[i] = len(own)
+        flat.extend(own)
+    return np.fromiter(map(word_bucket, words), np.int32, len(words)), np.frombuffer(flat, np.int32) if len(flat) else np.zeros(0, np.int32), counts
 
 
 def window_starts(n: int) -> list[int]:
@@ -82,11 +85,17 @@ class Model:
         """One input row for each word."""
         return self.rows(*_buckets(words))
 
-    def rows(self, own: np.ndarray, flat: np.ndarray, counts: np.ndarray) -> np.ndarray:
-        rows, first = self.char[flat], np.cumsum(counts) - counts
-        peak = np.maximum.reduceat(rows[:, :1], first, axis=0)
-        mean = np.add.reduceat(rows[:, 1:], first, axis=0) / counts[:, None]
-        return np.concatenate([self.word[own], peak, mean], axis=1)
+    def rows(self, own: np.ndarray, flat: np.ndarray, counts: np.ndarray, block: int = 20_000) -> np.ndarray:
+        out = np.empty((len(own), WORD_DIM + CHAR_DIM), np.float32)
+        ends = np.cumsum(counts, dtype=np.int64)
+        for at in range(0, len(own), block):
+            to = min(len(own), at + block)
+            base = ends[at] - counts[at]
+            rows, first = self.char[flat[base : ends[to - 1]]], ends[at:to] - counts[at:to] - base
+            out[at:to, :WORD_DIM] = self.word[own[at:to]]
+            out[at:to, WORD_DIM] = np.maximum.reduceat(rows[:, 0], first)
+            out[at:to, WORD_DIM + 1 :] = np.add.reduceat(rows[:, 1:], first, axis=0) / counts[at:to, None]
+        return out
 
     def project(self, x: np.ndarray) -> np.ndarray:
         """Input part of the gates of both directions."""
@@ -169,16 +178,17 @@ def fit(texts: list[str | None], labels: list[int], *, seed: int = 11, rounds: i
     """Fits on whole texts with one label each: a positive text is taught by its worst window, a negative one by its worst and one more."""
     rng = np.random.default_rng(seed)
     y = np.asarray(labels, np.int64)
-    tokens = [words_of(t) for t in texts]
-    vocabulary = {w: i for i, w in enumerate(sorted({w for t in tokens for w in t}))}
+    vocabulary: dict[str, int] = {}
+    ids = [np.fromiter((vocabulary.setdefault(w, len(vocabulary)) for w in words_of(t)), np.int32) for t in texts]
     words = list(vocabulary)
-    if not words or y.min(initial=0) == y.max(initial=0):
+    if not words or len(set(y.tolist())) < 2:
         return Model(np.zeros((WORD_BUCKETS, WORD_DIM), np.float32), np.zeros((CHAR_BUCKETS, CHAR_DIM), np.float32), _initial(rng), base=float(y.mean()) if len(y) else 0.0, scale=0.0)
+    del vocabulary
     buckets, flat_grams, counts = _buckets(words)
-    grams = np.split(flat_grams, np.cumsum(counts)[:-1])
-    own = [np.array(sorted({vocabulary[w] for w in t}), np.int64) for t in tokens]
+    ends = np.cumsum(counts, dtype=np.int64)
+    own = [np.unique(t) for t in ids]
     own_words = [np.unique(buckets[o]) for o in own]
-    own_grams = [np.unique(np.concatenate([grams[i] for i in o])) if len(o) else np.zeros(0, np.int64) for o in own]
+    own_grams = [np.unique(np.concatenate([flat_grams[ends[i] - counts[i] : ends[i]] for i in o])) if len(o) else np.zeros(0, np.int32) for o in own]
     model = Model(rng.normal(0, 0.1, (WORD_BUCKETS, WORD_DIM)).astype(np.float32), rng.normal(0, 0.1, (CHAR_BUCKETS, CHAR_DIM)).astype(np.float32), _initial(rng))
 
     def inputs_without(fold: int) -> np.ndarray:
@@ -191,12 +201,11 @@ def fit(texts: list[str | None], labels: list[int], *, seed: int = 11, rounds: i
     x = np.concatenate([inputs_without(f) for f in range(FOLDS)])
     inputs_without(-1)
     windows, of = [], []
-    for d, t in enumerate(tokens):
-        ids = np.fromiter((vocabulary[w] + 1 for w in t), np.int64, len(t))
-        for s in window_starts(len(t)):
-            row = np.zeros(WINDOW, np.int64)
-            part = ids[s : s + WINDOW]
-            row[: len(part)] = part + (d % FOLDS) * (len(words) + 1)
+    for d, t in enumerate(ids):
+        for start in window_starts(len(t)):
+            row = np.zeros(WINDOW, np.int32)
+            part = t[start : start + WINDOW]
+            row[: len(part)] = part + 1 + (d % FOLDS) * (len(words) + 1)
             windows.append(row), of.append(d)
     windows, of = np.array(windows), np.array(of)
     score = (x[:, 0] + x[:, WORD_DIM])[windows].max(axis=1)
@@ -236,8 +245,13 @@ def fit(texts: list[str | None], labels: list[int], *, seed: int = 11, rounds: i
                     m += 0.1 * (g - m)
                     v += 0.01 * (g * g - v)
                     model.p[k] -= (rate * m / (1 - 0.9**step) / (np.sqrt(v / (1 - 0.99**step)) + 1e-8)).astype(np.float32)
-        gates = model.project(x)
-        score = np.concatenate([model.logits(gates, windows[at : at + 1024]) for at in range(0, len(windows), 1024)])
+        score = np.empty(len(windows), np.float32)
+        for f in range(FOLDS):  # one fold's gate inputs at a time
+            low = f * (len(words) + 1)
+            gates = model.project(x[low : low + len(words) + 1])
+            part = np.flatnonzero(of % FOLDS == f)
+            for at in range(0, len(part), 512):
+                score[part[at : at + 512]] = model.logits(gates, np.maximum(windows[part[at : at + 512]] - low, 0))
     top = np.full(len(texts), -np.inf)
     np.maximum.at(top, of, score)
     _calibrate(model, top, y)
@@ -273,7 +287,7 @@ def _scores(model: Model, logit: np.ndarray) -> np.ndarray:
 class Scorer:
     """Scores texts with one model; remembers the gate inputs of up to ``max_words`` distinct words."""
 
-    def __init__(self, model: Model, *, max_words: int = 250_000) -> None:
+    def __init__(self, model: Model, *, max_words: int = 150_000) -> None:
         self.model, self.max_words = model, max_words
         self._start()
 
@@ -323,6 +337,7 @@ _SCHEMA = pa.schema([("doc_id", pa.int64()), ("score", pa.float64())])
 
 
 def _score_batches(batches: Iterator[pa.RecordBatch], shared) -> Iterator[pa.RecordBatch]:
+    resident("toxicity")  # what other kernels have kept goes
     scorer = Scorer(shared.value)
     for ids, texts in pieces(batches, 1_500_000):
         yield record(_SCHEMA, ids, scorer.score(texts))
@@ -367,6 +382,7 @@ def annotate(docs: DataFrame, labels: DataFrame, *, threshold: float = THRESHOLD
     shared = spark.sparkContext.broadcast(fit_on(docs, labels, per_class=per_class, **options))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        resident("toxicity")
         scorer = Scorer(shared.value)
         for batch in batches:
             texts = batch.column(batch.schema.get_field_index("text")).to_pylist()
