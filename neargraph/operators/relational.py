@@ -194,7 +194,7 @@ def seed_rows(queries: DataFrame, d: int, p: int, n: int, seed: int) -> DataFram
     return queries.select("qid", F.explode(F.array_distinct(F.transform(F.sequence(F.lit(0), F.lit(p * d - 1)), lambda j: buffer.seed_id(F.col("qid"), j.cast("long"), seed, n)))).alias("nid"))
 
 
-def search(vecs: DataFrame, adj: DataFrame, queries: DataFrame, params: SearchParams, scratch: Scratch, *, n: int, d: int, trace: list | None = None) -> tuple[DataFrame, DataFrame]:
+def search(vecs: DataFrame, adj: DataFrame, queries: DataFrame, params: SearchParams, scratch: Scratch, *, n: int, d: int) -> tuple[DataFrame, DataFrame]:
     """The walk as one plan a round: HIT rows and (qid, n_dist, rounds).
 
     A frontier of ids is joined to the adjacency lists and to the vectors each round, so a round costs a scan of both; it pays
@@ -210,8 +210,6 @@ def search(vecs: DataFrame, adj: DataFrame, queries: DataFrame, params: SearchPa
 
     start = evaluated(seed_rows(queries, d, params.p, n, params.seed))
     state = scratch.keep(start.select("qid", F.slice(F.array_sort("cand"), 1, params.M).cast(entry).alias("top"), F.transform("cand", lambda c: c["nid"]).alias("seen"), F.size("cand").cast("long").alias("n_dist"), F.lit(0).alias("rounds"), F.lit(False).alias("done")))
-    if trace is not None:
-        trace.append(state)
     for step in range(1, params.rounds + 1):
         waiting = F.filter("top", lambda e: ~e["expanded"])
         going = state.where(~F.col("done")).withColumn("front", F.transform(F.slice(waiting, 1, params.p), lambda e: e["nid"]))
@@ -234,12 +232,8 @@ def search(vecs: DataFrame, adj: DataFrame, queries: DataFrame, params: SearchPa
         if params.stop == "unchanged":
             ended = ended | (ids("new") == ids("top"))
         rows = rows.select("qid", F.col("new").alias("top"), seen.alias("seen"), (F.col("n_dist") + F.size("cand")).alias("n_dist"), F.lit(step).alias("rounds"), ended.alias("done"))
-        left = state.join(rows.select("qid"), "qid", "left_anti").withColumn("done", F.lit(True)) if trace is None else state.where("done")
+        left = state.join(rows.select("qid"), "qid", "left_anti").withColumn("done", F.lit(True))
         state = scratch.keep(rows.unionByName(left))
-        if trace is not None:
-            trace.append(state)
-            if step >= len(trace) - 1 and step >= 3:
-                break
         if state.where("not done").limit(1).count() == 0:
             break
     hits = state.select("qid", F.posexplode(F.slice("top", 1, params.k)).alias("rnk", "e")).select("qid", (F.col("rnk") + 1).alias("rnk"), "e.nid", "e.dist")
