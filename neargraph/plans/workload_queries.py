@@ -640,6 +640,7 @@ _QUERIES |= {
     "q_w_c3_large_batch": _study(workloads.c3_large_batch),
     "q_w_c4_single_query": _study(workloads.c4_single_query),
     "q_w_c5_scaling": lambda spark, sf_dir: workloads.c5_scaling(Scratch(spark, "line").keep(src.lineitem_vectors(spark, sf_dir))),
+    "q_w_best_of_parallelism": _study(workloads.best_of_parallelism),
     "q_w_d1_degree": _study(workloads.d1_degree),
     "q_w_d4_compressed": _study(workloads.d4_compressed),
 }
