@@ -20,7 +20,7 @@ import pyarrow as pa
 import regex
 from pyspark.sql import DataFrame
 
-from neargraph.llm.kernels import documents_of, pieces, record
+from neargraph.llm.kernels import documents_of, pieces, record, resident
 from neargraph.runtime import prepare
 
 
@@ -182,7 +182,7 @@ class Transducer:
         is made and kept when it is missed a second time, as a state that only one piece ever visits is not worth keeping.
         The state after the first ``_HEAD`` bytes is kept by itself.
         """
-        if len(self._states) > self.max_states or len(self._missed) > 4 * self.max_states:
+        if max(len(self._states), len(self._missed) // 4, len(self._heads) // 2) > self.max_states:
             self._reset()
         moves, head = self._moves, piece[:_HEAD]
         if known := self._heads.get(head):
@@ -334,6 +334,14 @@ class Codec:
         except KeyError:
             return b"".join(map(self.learn(found).__getitem__, found))
 
+    def token_counts(self, found: list[str]) -> np.ndarray:
+        """Number of ids of each piece."""
+        try:
+            sizes = np.fromiter(map(len, map(self._packed.__getitem__, found)), np.int64, len(found))
+        except KeyError:
+            sizes = np.fromiter(map(len, map(self.learn(found).__getitem__, found)), np.int64, len(found))
+        return sizes >> 2
+
     def learn(self, found: list[str]) -> dict[str, bytes]:
         """Packed ids of pieces, these among them. Beyond the bound the younger half goes: common pieces come early."""
         known = self._packed
@@ -363,15 +371,9 @@ class Codec:
         return "".join(decode_stream(iter(ids), self.transducer.token_bytes))
 
 
-_CODECS: dict[tuple[str, str], Codec] = {}
-
-
 def codec(path: str, pattern: str) -> Codec:
-    """One codec per worker process and vocabulary."""
-    if (path, pattern) not in _CODECS:
-        _CODECS.clear()
-        _CODECS[path, pattern] = Codec(path, pattern)
-    return _CODECS[path, pattern]
+    """One codec per worker process, kept between tasks."""
+    return resident("bpe", (path, pattern), lambda: Codec(path, pattern))
 
 
 _DIGEST = pa.schema([("doc_id", pa.int64()), ("n_tokens", pa.int64()), ("ids_sha256", pa.string()), ("decoded_sha256", pa.string())])

@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from neargraph.llm.kernels import ascii_words, documents_of, pieces, record
+from neargraph.llm.kernels import ascii_words, documents_of, pieces, record, resident
 from neargraph.runtime import Scratch, prepare
 
 BUCKETS = 10_000
@@ -57,7 +57,7 @@ class Hasher:
 
 def _count_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """One row for each bucket and task: counts in all texts and in the target texts."""
-    hasher = Hasher()
+    hasher = resident("grams", None, Hasher)
     counts = np.zeros((2, BUCKETS), np.int64)
     for batch in batches:
         for text, good in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist(), strict=True):
@@ -71,7 +71,7 @@ def _count_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch
 
 
 def _weigh_batches(batches: Iterator[pa.RecordBatch], shared) -> Iterator[pa.RecordBatch]:
-    ratio, hasher = shared.value, Hasher()
+    ratio, hasher = shared.value, resident("grams", None, Hasher)
     schema = pa.schema([("doc_id", pa.int64()), ("n_grams", pa.int64()), ("log_ratio", pa.float64())])
     for ids, texts in pieces(batches):
         n, weights = [], []

@@ -18,7 +18,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from neargraph.llm.kernels import ascii_words, documents_of, pieces, record
+from neargraph.llm.kernels import ascii_words, documents_of, pieces, record, resident
 from neargraph.runtime import Scratch, shuffle_partitions
 
 LENGTH = 50
@@ -104,7 +104,7 @@ _TEXTS = "doc_id long, t1 long, t2 int, n_words int, keys array<long>, at array<
 
 def _anchor_batches(batches: Iterator[pa.RecordBatch], length: int, gram: int, key: int) -> Iterator[pa.RecordBatch]:
     schema = pa.schema([("doc_id", pa.int64()), ("t1", pa.int64()), ("t2", pa.int32()), ("n_words", pa.int32()), ("keys", pa.list_(pa.int64())), ("at", pa.list_(pa.int32()))])
-    hashes = WordHashes()
+    hashes = resident("words", None, WordHashes)
     for ids, texts in pieces(batches):
         t1, t2, n, keys, at = [], [], [], [], []
         for text in texts:
@@ -163,7 +163,7 @@ def _neighbours(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def _window_batches(batches: Iterator[pa.RecordBatch], length: int, key: int) -> Iterator[pa.RecordBatch]:
     schema = pa.schema([("w1", pa.int64()), ("w2", pa.int32()), ("doc_id", pa.int64()), ("s", pa.int32())])
-    hashes = WordHashes()
+    hashes = resident("words", None, WordHashes)
     for batch in batches:
         ids = batch.column(0).to_pylist()
         held: list[tuple] = []

@@ -81,8 +81,7 @@ class CountedText:
         self.own, self.text = own, text
         found = own.find(text)
         self.ends = np.cumsum(np.fromiter(map(len, found), np.int64, len(found)))
-        known = own.learn(found)
-        self.tree = SegmentTree(np.fromiter((len(known[p]) >> 2 for p in found), np.int64, len(found)))
+        self.tree = SegmentTree(own.token_counts(found))
         self.encoded = 0
 
     @property
