@@ -31,7 +31,7 @@ _MIX = np.uint64(0xFF51AFD7ED558CCD)
 class WordHashes:
     """64-bit hashes of words; remembers up to ``limit`` of them, common words longest."""
 
-    def __init__(self, limit: int = 400_000) -> None:
+    def __init__(self, limit: int = 150_000) -> None:
         self.limit, self.known = limit, {}
 
     def of(self, words: list[bytes]) -> np.ndarray:
@@ -104,8 +104,9 @@ _TEXTS = "doc_id long, t1 long, t2 int, n_words int, keys array<long>, at array<
 
 def _anchor_batches(batches: Iterator[pa.RecordBatch], length: int, gram: int, key: int) -> Iterator[pa.RecordBatch]:
     schema = pa.schema([("doc_id", pa.int64()), ("t1", pa.int64()), ("t2", pa.int32()), ("n_words", pa.int32()), ("keys", pa.list_(pa.int64())), ("at", pa.list_(pa.int32()))])
-    hashes = resident("words", None, WordHashes)
-    for ids, texts in pieces(batches):
+    resident("words")  # what other kernels have kept goes
+    hashes = WordHashes()
+    for ids, texts in pieces(batches, 1_000_000):
         t1, t2, n, keys, at = [], [], [], [], []
         for text in texts:
             raw = (text or "").encode("utf-8", "surrogatepass")
@@ -161,14 +162,21 @@ def _neighbours(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield judge(held, True, True)
 
 
+def _slices(column: pa.Array) -> list[np.ndarray]:
+    """The lists of a column as slices of one array; a null list is empty."""
+    at, values, valid = column.offsets.to_numpy(), column.values.to_numpy(zero_copy_only=False), column.is_valid().to_numpy(zero_copy_only=False)
+    return [values[a:b] if ok else values[:0] for a, b, ok in zip(at[:-1].tolist(), at[1:].tolist(), valid.tolist(), strict=True)]
+
+
 def _window_batches(batches: Iterator[pa.RecordBatch], length: int, key: int) -> Iterator[pa.RecordBatch]:
     schema = pa.schema([("w1", pa.int64()), ("w2", pa.int32()), ("doc_id", pa.int64()), ("s", pa.int32())])
-    hashes = resident("words", None, WordHashes)
+    resident("words")  # what other kernels have kept goes
+    hashes = WordHashes()
     for batch in batches:
         ids = batch.column(0).to_pylist()
         held: list[tuple] = []
         rows = 0
-        for i, (doc, text, at) in enumerate(zip(ids, batch.column(1).to_pylist(), batch.column(2).to_pylist(), strict=True)):
+        for i, (doc, text, at) in enumerate(zip(ids, batch.column(1).to_pylist(), _slices(batch.column(2)), strict=True)):
             h = hashes.of(ascii_words(text))
             mark = np.zeros(len(h) - length + 2, np.int64)
             p = np.asarray(at, np.int64)
@@ -198,8 +206,8 @@ def _span_batches(batches: Iterator[pa.RecordBatch], length: int) -> Iterator[pa
     schema = pa.schema([("doc_id", pa.int64()), ("start_word", pa.int32()), ("end_word", pa.int32()), ("later", pa.bool_()), ("first_doc_id", pa.int64())])
     for batch in batches:
         out: list[tuple] = []
-        for doc, n, copied, s, later, first in zip(*(batch.column(i).to_pylist() for i in range(6)), strict=True):
-            s, later, first = np.asarray(s or [], np.int64), np.asarray(later or [], bool), np.asarray(first or [], np.int64)
+        for doc, n, copied, s, later, first in zip(*(batch.column(i).to_pylist() for i in range(3)), *(_slices(batch.column(i)) for i in range(3, 6)), strict=True):
+            s, later, first = s.astype(np.int64), later.astype(bool), first.astype(np.int64)
             order = np.argsort(s)
             s, later, first = s[order], later[order], first[order]
             again = s[later]
