@@ -5,7 +5,8 @@ builds a flat graph: nearest candidates and a few random ones, pruned so that no
 adjacency lists of a vector's shards are united. In each of its shards a vector is then searched from the medoid: a greedy walk
 with a short list of best nodes, which turns into an expansion of everything within range of the threshold. Hits are verified in double
 precision. A pair that meets in several shards counts in the first only, links leave a task as counts and a spanning forest, and
-a sample of vectors is compared with all rows; the overlap grows until that audit is content.
+a sample of vectors is compared with all rows; the overlap grows until that audit is content. If it is not at the last overlap,
+all rows are compared exactly, in blocks by cell of the nearest pivot; a vector visits the cells that the angle to their border lets it link into.
 """
 
 from __future__ import annotations
@@ -29,6 +30,8 @@ OVERLAP = 4
 POOL, RANDOM, DEGREE, ALPHA = 28, 4, 16, 1.2
 BEAM, SLACK = 16, 0.04
 AUDIT_ROWS, AUDIT_RECALL = 512, 0.995
+#: From this overlap on an audit that is not content leads to the exact comparison, in blocks of so many rows.
+LAST_OVERLAP, BLOCK_ROWS = 24, 4096
 #: Queries that one task searches in a shard; a larger shard goes to several tasks.
 SLICE_ROWS = 4096
 
@@ -255,6 +258,73 @@ def _audit_batches(batches: Iterator[pa.RecordBatch], shared, threshold: float)
     yield pa.RecordBatch.from_arrays([pa.array(reps[some], pa.int64()), pa.array(counts[some], pa.int64())], names=["rep", "links"])
 
 
+def _visit_batches(batches: Iterator[pa.RecordBatch], shared, threshold: float) -> Iterator[pa.RecordBatch]:
+    """(label, rep, mult, vec) -> one row for each cell that may hold a link of the vector; ``own`` marks the cell it lives in.
+
+    Who lives in a cell is no nearer to another pivot, so what is further than the threshold's angle from the plane between its own pivot
+    and the cell's has no link there. Vectors that fit no pivots share a cell by length.
+    """
+    pivots = shared.value
+    schema = pa.schema([("label", pa.int64()), ("cell", pa.int32()), ("own", pa.bool_()), ("rep", pa.int64()), ("mult", pa.int64()), ("vec", pa.binary())])
+    reach = np.sqrt(max(0.0, 1 - threshold * threshold)) if threshold > 0 else 1.0
+    for batch in batches:
+        label, rep, mult, vec = (batch.column(i) for i in range(4))
+        labels, vecs = label.to_numpy(), vec.to_pylist()
+        fits = np.array([(c := pivots.get(int(own))) is not None and len(v) == 8 * c.shape[1] for own, v in zip(labels, vecs, strict=True)], bool)
+        odd = np.flatnonzero(~fits)
+        parts = [(odd, np.array([-len(vecs[i]) for i in odd], np.int64), np.ones(len(odd), bool))]
+        for own in np.unique(labels[fits]):
+            c = pivots[int(own)]
+            gap = np.sqrt(np.maximum(0.0, ((c * c).sum(axis=1)[:, None] + (c * c).sum(axis=1)[None, :]) - 2 * c @ c.T))
+            rows = np.flatnonzero(fits & (labels == own))
+            s = np.frombuffer(b"".join(vecs[i] for i in rows), "<f8").reshape(len(rows), -1) @ c.T
+            home = s.argmax(axis=1)
+            r, cell = np.nonzero(s[np.arange(len(rows)), home][:, None] - s <= reach * gap[home] + 1e-7)
+            parts.append((rows[r], cell, cell == home[r]))
+        take, cell, own = (np.concatenate(x) for x in zip(*parts, strict=True))
+        for at in range(0, len(take), 20_000):
+            cut = slice(at, at + 20_000)
+            picked = [c.take(pa.array(take[cut])) for c in (label, rep, mult, vec)]
+            yield pa.RecordBatch.from_arrays([picked[0].cast(pa.int64()), pa.array(cell[cut], pa.int32()), pa.array(own[cut], pa.bool_()), *picked[1:]], schema=schema)
+
+
+def _compare(pdf: pd.DataFrame, threshold: float) -> pd.DataFrame:
+    """One block of a cell's rows against one slice of its visitors: link counts of the visitors and a spanning forest of the links."""
+    here, asks = pdf[~pdf["asks"]], pdf[pdf["asks"]]
+    a, b, counts = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)], np.zeros(len(asks), np.int64)
+    reps, own, mult = asks["rep"].to_numpy(), here["rep"].to_numpy(), here["mult"].to_numpy()
+    if len(here) and len(asks):
+        x, y = _matrix(asks["vec"]), _matrix(here["vec"])
+        for at in range(0, len(x), 256):
+            hit = (x[at : at + 256] @ y.T >= threshold) & (reps[at : at + 256, None] != own[None, :])
+            counts[at : at + 256] = hit @ mult
+            i, j = np.nonzero(hit)
+            some, root = _forest(reps[at + i], own[j])
+            a.append(some), b.append(root)
+    a, b = _forest(np.concatenate(a), np.concatenate(b))
+    some = np.flatnonzero(counts)
+    return pd.DataFrame({"rep": np.r_[reps[some], a], "links": np.r_[counts[some], np.zeros(len(a), np.int64)], "other": np.r_[reps[some], b]})
+
+
+def exact_links(classes: DataFrame, sample: pd.DataFrame, n: int, threshold: float, scratch: Scratch, *, block_rows: int = BLOCK_ROWS) -> DataFrame:
+    """``classes(label, rep, mult, vec)`` -> ``(rep, links, other)`` of all links, as the shard search gives it.
+
+    Every row lives in one cell and meets the rows of each cell that it visits once, so a vector counts each link once. Cells
+    have about ``block_rows`` rows, so that at worst a row visits no more cells than a plain comparison in blocks has; large ones are cut.
+    """
+    pivots = scratch.spark.sparkContext.broadcast(_pivots(sample, min(MAX_PIVOTS, max(1, n // block_rows))))
+    visits = classes.select("label", "rep", "mult", "vec").mapInArrow(lambda it: _visit_batches(it, pivots, threshold), "label long, cell int, own boolean, rep long, mult long, vec binary")
+    visits = scratch.keep(visits)
+    cuts = lambda count: F.ceil(count / block_rows).cast("int")
+    sizes = visits.groupBy("label", "cell").agg(cuts(F.count_if("own")).alias("blocks"), cuts(F.count("*")).alias("slices")).where("blocks > 0")
+    rows = visits.join(sizes, ["label", "cell"])
+    upto = lambda count: F.explode(F.sequence(F.lit(0), F.col(count) - 1))
+    live = rows.where("own").select("label", "cell", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int").alias("block"), upto("slices").alias("slice"), F.lit(False).alias("asks"), "rep", "mult", "vec")
+    come = rows.select("label", "cell", upto("blocks").alias("block"), F.pmod(F.xxhash64("rep"), F.col("slices")).cast("int").alias("slice"), F.lit(True).alias("asks"), "rep", "mult", "vec")
+    pairs = live.unionByName(come).groupBy("label", "cell", "block", "slice")
+    return scratch.keep(pairs.applyInPandas(lambda pdf: _compare(pdf, threshold), "rep long, links long, other long"))
+
+
 def _pack(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """Unit vectors in double precision as bytes; null where a vector takes no part."""
     for batch in batches:
@@ -286,6 +356,13 @@ def embedding_dedup(vectors: DataFrame, *, threshold: float = THRESHOLD, shard_r
     audit = sample.head(AUDIT_ROWS)
     audit = audit[audit["vec"].map(len) == (len(audit["vec"].iloc[0]) if len(audit) else 0)]
     truth = None
+
+    def audited(links: DataFrame) -> float:
+        got = links.join(F.broadcast(spark.createDataFrame([(int(r),) for r in audit["rep"]], "rep long")), "rep").toPandas()
+        got = dict(zip(got["rep"], got["links"], strict=True))
+        due = sum(truth.values())
+        return sum(min(got.get(r, 0), t) for r, t in truth.items()) / due if due else 1.0
+
     while True:
         pivots = spark.sparkContext.broadcast(_pivots(sample, min(MAX_PIVOTS, max(1, n * overlap // shard_rows))))
         placed = scratch.keep(classes.select("label", "rep", "mult", "vec").mapInArrow(lambda it, p=pivots, m=overlap: _assign_batches(it, p, m), "label long, shard int, rep long, mult long, vec binary, shards array<int>"))
@@ -303,11 +380,13 @@ def embedding_dedup(vectors: DataFrame, *, threshold: float = THRESHOLD, shard_r
             shared = spark.sparkContext.broadcast((audit["label"].to_numpy(), audit["rep"].to_numpy(), np.frombuffer(b"".join(audit["vec"]), "<f8").reshape(len(audit), -1)))
             exact = classes.select("label", "rep", "mult", "vec").mapInArrow(lambda it: _audit_batches(it, shared, threshold), "rep long, links long").groupBy("rep").agg(F.sum("links").alias("links")).toPandas()  # at most AUDIT_ROWS rows
             truth = dict(zip(exact["rep"], exact["links"], strict=True))
-        got = links.join(F.broadcast(spark.createDataFrame([(int(r),) for r in audit["rep"]], "rep long")), "rep").toPandas()
-        got = dict(zip(got["rep"], got["links"], strict=True))
-        due = sum(truth.values())
-        recall = sum(min(got.get(r, 0), t) for r, t in truth.items()) / due if due else 1.0
-        if recall >= AUDIT_RECALL or overlap >= 24:
+        recall = audited(links)
+        if recall >= AUDIT_RECALL:
+            break
+        if overlap >= LAST_OVERLAP:
+            found = exact_links(classes, sample, n, threshold, scratch)
+            links = scratch.keep(found.groupBy("rep").agg(F.sum("links").alias("links")))
+            recall = audited(links)
             break
         overlap *= 2
     forest = found.where("rep <> other").select(F.col("rep").alias("a"), F.col("other").alias("b"))

@@ -233,6 +233,48 @@ def test_embedding_dedup(spark, vectors):
     assert embedding_dedup.embedding_dedup(vectors.where("false")).count() == 0
 
 
+def test_embedding_dedup_exact_when_audit_is_short(spark):
+    """Near (not equal) copies over many small shards: most linked pairs share none, so only the exact comparison counts them all."""
+    rng = np.random.default_rng(5)
+    x = np.r_[rng.normal(size=(1, 24)) + 0.25 * rng.normal(size=(500, 24)), rng.normal(size=(100, 24))].astype(np.float32)
+    df = spark.createDataFrame([(i, int(i % 50 == 7), v.tolist()) for i, v in enumerate(x)], "vec_id long, label long, embedding array<float>").repartition(4)
+    u = x.astype(np.float64) / np.linalg.norm(x.astype(np.float64), axis=1, keepdims=True)
+    label = np.arange(600) % 50 == 7
+    link = (u @ u.T >= 0.93) & (label[:, None] == label[None, :]) & ~np.eye(600, dtype=bool)
+    got = collected(embedding_dedup.embedding_dedup(df, shard_rows=24, overlap=24))
+    assert [r["n_links"] for r in sorted(got, key=lambda r: r["vec_id"])] == link.sum(axis=1).tolist()
+    assert {r["audit_recall"] for r in got} == {1.0}
+
+
+def test_exact_links(spark):
+    """Blocks, slices and visits against brute force: dense and sparse cells, weights, two lengths, several labels."""
+    from neargraph.runtime import Scratch
+
+    rng = np.random.default_rng(6)
+    centres = rng.normal(size=(12, 8))
+    x = np.concatenate([c + 0.3 * rng.normal(size=(n, 8)) for c, n in zip(centres, [300, *[30] * 11], strict=True)])
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    rows = [(int(i % 5 == 0), i, i % 3 + 1, bytearray(v.astype("<f8").tobytes())) for i, v in enumerate(x)]
+    short = np.array([[3.0, 4.0], [4.0, 3.0], [-1.0, 0.0]]) / np.array([[5.0], [5.0], [1.0]])
+    rows += [(0, 1000 + i, 1, bytearray(v.astype("<f8").tobytes())) for i, v in enumerate(short)]
+    classes = spark.createDataFrame(rows, "label long, rep long, mult long, vec binary").repartition(4)
+    sample = classes.where("rep < 1000").select("label", "rep", "vec").toPandas()
+    found = embedding_dedup.exact_links(classes, sample, len(rows), 0.93, Scratch(spark, "test"), block_rows=40).toPandas()
+    label, mult = np.arange(len(x)) % 5 == 0, np.arange(len(x)) % 3 + 1
+    link = (x @ x.T >= 0.93) & (label[:, None] == label[None, :]) & ~np.eye(len(x), dtype=bool)
+    want = {i: int(n) for i, n in enumerate(link @ mult) if n} | {1000: 1, 1001: 1}
+    assert {int(r): int(n) for r, n in found.groupby("rep")["links"].sum().items() if n} == want
+    joined = {i: i for i in want}
+    for _ in range(len(want)):
+        low = {i: min([joined[i], *(joined[j] for j in np.flatnonzero(link[i]))]) if i < 1000 else 1000 for i in joined}
+        if low == joined:
+            break
+        joined = low
+    edges = found[found["rep"] != found["other"]]
+    a, b = embedding_dedup._forest(edges["rep"].to_numpy(), edges["other"].to_numpy())
+    assert {i: joined[i] for i in joined if joined[i] != i} == {int(i): int(j) for i, j in zip(a, b, strict=True)}
+
+
 def test_topk(spark, vectors):
     table = vectors.where("vec_id is null or vec_id <> 5")
     rows = exact_topk.integer_weights(table)
