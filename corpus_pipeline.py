@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -20,21 +22,60 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return scored.where("predicted = 0").select(*COLUMNS)
 
 
+def _numbered(docs: DataFrame, scratch: Scratch) -> DataFrame:
+    """The documents under numbers 0, 1, ... as ``doc_id``, in order of id (null last) and content; ``given_id`` holds their own.
+
+    Equal tables get equal numbers whatever their partitions: a sorted table is written, and only its row count by partition is collected.
+    """
+    content = [F.xxhash64(*COLUMNS[1:], F.lit(seed)) for seed in (0, 1)]
+    tied = docs.withColumn("tie", F.monotonically_increasing_id())  # equal rows of one id need not go to one task
+    ordered = tied.orderBy(F.col("doc_id").asc_nulls_last(), *content, "tie").drop("tie")
+    placed = scratch.keep(ordered.withColumn("place", F.monotonically_increasing_id()).withColumn("part", F.shiftright("place", 33)))
+    counts = sorted((r.part, r.n) for r in placed.groupBy("part").agg(F.count("*").alias("n")).collect())
+    offsets = [(part, sum(n for _, n in counts[:i])) for i, (part, _) in enumerate(counts)]
+    first = docs.sparkSession.createDataFrame(offsets, "part long, first long")
+    number = F.col("first") + F.col("place").bitwiseAND((1 << 33) - 1)
+    return placed.join(F.broadcast(first), "part").select(number.alias("doc_id"), *COLUMNS[1:], F.col("doc_id").alias("given_id"))
+
+
+def by_row(docs: DataFrame, stage: Callable[[DataFrame], DataFrame]) -> DataFrame:
+    """``stage`` over the documents, for stages that tell rows apart by id.
+
+    If some row has no id, rows go by their numbers (see ``_numbered``) and get their ids back, so that one without an id is
+    treated as any other, after those that have one.
+    """
+    docs = docs.select(*COLUMNS)
+    odd = docs.where("doc_id is null")
+    if odd.isEmpty():
+        return stage(docs).select(*COLUMNS)
+    rows = _numbered(docs, Scratch(docs.sparkSession, "rows"))
+    return stage(rows).select(F.col("given_id").alias("doc_id"), *COLUMNS[1:])
+
+
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of SimHash near-duplicates the document with the smallest id stays."""
-    groups = simhash_dedup.simhash_dedup(docs)
-    keep = groups.where(F.col("doc_id").isNull() | (F.col("doc_id") == F.col("component_id"))).select("doc_id").where("doc_id is not null").distinct()
-    return docs.select(*COLUMNS).join(keep, "doc_id", "left_semi").select(*COLUMNS)
+    """Of each group of SimHash near-duplicates the document with the smallest id stays; a null id is larger than any other.
+
+    Documents without an id link like others, and one of a group that has no ids stays.
+    """
+
+    def first_of_each(rows: DataFrame) -> DataFrame:
+        keep = simhash_dedup.simhash_dedup(rows).where("doc_id = component_id").select("doc_id")
+        return rows.join(keep, "doc_id", "left_semi")
+
+    return by_row(docs, first_of_each)
 
 
 def cut_repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Passages that stand in an earlier place already are cut; a document that is nothing else goes."""
-    return suffix_dedup.cut_repeats(docs.select(*COLUMNS))
+    """Passages that stand in an earlier place already are cut; a document that is nothing else goes.
+
+    Documents without an id come after all others, in order of their content's hash.
+    """
+    return by_row(docs, suffix_dedup.cut_repeats)
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The mix by source: a document stands in it as often as it is taken."""
-    return source_mix.apply_mix(docs.select(*COLUMNS))
+    """The mix by source: a document stands in it as often as it is taken, with an id or without."""
+    return by_row(docs, source_mix.apply_mix)
 
 
 def tokenize(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

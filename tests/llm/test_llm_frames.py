@@ -319,3 +319,48 @@ def test_pipeline_stages(spark, sf):
     assert kept["simhash_dedup"] <= kept["toxicity"] and kept["suffix_dedup"] <= kept["simhash_dedup"] and kept["source_mix"] <= kept["suffix_dedup"]
     last = corpus_pipeline.STAGES[-1][1](spark, at, sf)
     assert last.count() == at.count() and "ids_sha256" in last.columns
+
+
+def piped(spark, rows, sf):
+    """(id, text, source) rows through the stages after the first; the rows after each."""
+    import corpus_pipeline
+
+    at = spark.createDataFrame([(i, t, "en", s, len(t)) for i, t, s in rows], "doc_id long, text string, lang string, source string, n_chars long")
+    out = {}
+    for name, stage in corpus_pipeline.STAGES[1:-1]:
+        at = stage(spark, at.repartition(3), sf).cache()
+        assert tuple(at.columns) == corpus_pipeline.COLUMNS
+        out[name] = [(r.doc_id, r.text, r.source) for r in at.collect()]
+    return out
+
+
+def targets(rows):
+    """Words that the mix takes of each of two sources: 1.5 times all, dealt 5 to 2, at most twice a source."""
+    size = Counter()
+    for _, t, s in rows:
+        size[s] += len(t.split())
+    whole = 1.5 * sum(size.values())
+    a = min(2 * size["a"], whole * 5 / 7)
+    b = min(2 * size["b"], whole - a)
+    return {"a": min(2 * size["a"], whole - b), "b": b}
+
+
+def test_pipeline_null_ids(spark, sf):
+    """Documents without an id are deduplicated, cut and mixed like others."""
+    rng = np.random.default_rng(8)
+    text = lambda n: " ".join(words(rng, n, 100_000))
+    plain = [(i, text(120), "ab"[i % 2]) for i in range(8)]
+    alone, twice, passage = text(120), text(120), text(60)
+    start, end = text(90), text(90)
+    cut = [(20, f"{passage} {text(100)}", "a"), (None, f"{start} {passage} {end}", "b")]
+    rows = [*plain, (None, alone, "a"), (None, twice, "b"), (None, twice, "b"), (None, plain[3][1], "b"), *cut]
+    out = piped(spark, rows, sf)
+    want = [*plain, (None, alone, "a"), (None, twice, "b"), *cut]
+    assert Counter(out["simhash_dedup"]) == Counter(want)
+    want[-1] = (None, f"{start} {end}", "b")
+    assert Counter(out["suffix_dedup"]) == Counter(want)
+    mixed = Counter()
+    for _, t, s in out["source_mix"]:
+        mixed[s] += len(t.split())
+    assert all(abs(mixed[s] - n) <= 1 for s, n in targets(want).items())
+    assert {t for i, t, _ in out["source_mix"] if i is None}
