@@ -41,11 +41,11 @@ def _numbered(docs: DataFrame, scratch: Scratch) -> DataFrame:
 def by_row(docs: DataFrame, stage: Callable[[DataFrame], DataFrame]) -> DataFrame:
     """``stage`` over the documents, for stages that tell rows apart by id.
 
-    If some row has no id, rows go by their numbers (see ``_numbered``) and get their ids back, so that one without an id is
-    treated as any other, after those that have one.
+    If some row has no id or several rows have the same, rows go by their numbers (see ``_numbered``) and get their ids back, so
+    that each row is a document of its own; one without an id is treated as any other, after those that have one.
     """
     docs = docs.select(*COLUMNS)
-    odd = docs.where("doc_id is null")
+    odd = docs.groupBy("doc_id").agg(F.count("*").alias("n")).where("doc_id is null or n > 1")
     if odd.isEmpty():
         return stage(docs).select(*COLUMNS)
     rows = _numbered(docs, Scratch(docs.sparkSession, "rows"))
@@ -55,7 +55,8 @@ def by_row(docs: DataFrame, stage: Callable[[DataFrame], DataFrame]) -> DataFram
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each group of SimHash near-duplicates the document with the smallest id stays; a null id is larger than any other.
 
-    Documents without an id link like others, and one of a group that has no ids stays.
+    Documents without an id link like others, and one of a group that has no ids stays. Rows that share an id are documents of their
+    own: of exact copies one stays, and different texts under one id both stay if they are in different groups.
     """
 
     def first_of_each(rows: DataFrame) -> DataFrame:
@@ -68,13 +69,13 @@ def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 def cut_repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Passages that stand in an earlier place already are cut; a document that is nothing else goes.
 
-    Documents without an id come after all others, in order of their content's hash.
+    Documents without an id come after all others; rows that share an id, or have none, are in order of their content's hash.
     """
     return by_row(docs, suffix_dedup.cut_repeats)
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The mix by source: a document stands in it as often as it is taken, with an id or without."""
+    """The mix by source: a document stands in it as often as it is taken, each row by itself, with an id, a repeated one or none."""
     return by_row(docs, source_mix.apply_mix)
 
 

@@ -364,3 +364,21 @@ def test_pipeline_null_ids(spark, sf):
         mixed[s] += len(t.split())
     assert all(abs(mixed[s] - n) <= 1 for s, n in targets(want).items())
     assert {t for i, t, _ in out["source_mix"] if i is None}
+
+
+def test_pipeline_repeated_ids(spark, sf):
+    """One row of exact copies stays though they share an id; different texts under one id are documents of their own."""
+    rng = np.random.default_rng(9)
+    text = lambda n: " ".join(words(rng, n, 100_000))
+    plain = [(i, text(120), "ab"[i % 2]) for i in range(8)]
+    passage, start, end, other = text(60), text(90), text(90), text(200)
+    rows = [*plain, *plain[2:5], plain[2], (30, f"{passage} {text(100)}", "a"), (31, f"{start} {passage} {end}", "b"), (31, other, "a")]
+    out = piped(spark, rows, sf)
+    want = [*plain, *rows[-3:]]
+    assert Counter(out["simhash_dedup"]) == Counter(want)
+    want[-2] = (31, f"{start} {end}", "b")
+    assert Counter(out["suffix_dedup"]) == Counter(want)
+    mixed = Counter()
+    for _, t, s in out["source_mix"]:
+        mixed[s] += len(t.split())
+    assert all(abs(mixed[s] - n) <= 1 for s, n in targets(want).items())
