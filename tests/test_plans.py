@@ -178,3 +178,15 @@ def test_library_runs_without_llm():
                 if f.endswith(".py"):
                     with open(os.path.join(folder, f)) as h:
                         assert "neargraph.llm" not in h.read()
+
+
+def test_scaling_covers_the_table(spark):
+    """The ladder is a hundredth, a tenth and all of the rows, whatever their number, and asks every hundredth id."""
+    from neargraph.plans import workloads
+
+    rng = np.random.default_rng(4)
+    vecs = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(rng.normal(size=(900, 4)))], "id long, vec array<float>").cache()
+    got = {(r[0], r[1]): r[2] for r in workloads.c5_scaling(vecs).collect()}
+    assert {name: value for (name, what), value in got.items() if what == "rows"} == {"n=9": 9, "n=90": 90, "n=900": 900}
+    assert {name: value for (name, what), value in got.items() if what == "queries"} == {"n=9": 1, "n=90": 1, "n=900": 9}
+    assert all(value > 0.95 for (_, what), value in got.items() if what.startswith("recall"))
