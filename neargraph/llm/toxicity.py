@@ -1,7 +1,8 @@
 """Toxicity by a bidirectional gated recurrent network with attention pooling, trained and run in numpy.
 
 Input of a word: an embedding of its hash beside the mean of the embeddings of its hashed character n-grams. Both tables
-start from how much more often toxic texts of the training sample hold the word or n-gram. Texts are cut into overlapping windows; two gated
+are fixed features and are not trained: one column is how much more often toxic texts of the training sample hold the word or n-gram,
+the others are random. Texts are cut into overlapping windows; two gated
 recurrent layers run over a window, one each way; attention pools their states; a text scores as its worst window does.
 Everything that depends on a word alone is computed once for each distinct word of a worker.
 """
