@@ -5,6 +5,10 @@ another exactly if the merges leave the two apart ("stable" pair). So after each
 positions from which a longer token might still start. A transducer state is that set of positions - for each, the trie
 node of the bytes since then and the tokens before it that are not yet emitted. Reading a byte moves the trie nodes,
 drops dead positions, finds the one token that ends here, and emits every token on which all open positions agree. The lookahead is bounded by the longest token. States and moves are made when first met and kept.
+
+``Transducer`` streams one piece. ``PieceEncoder`` runs many pieces through states of the same kind at once: the pieces are sorted,
+so those that share a beginning share its states, the moves that a step meets for the first time are made together in arrays, and
+a piece's tokens are read back from the state of its last byte.
 """
 
 from __future__ import annotations
@@ -14,6 +18,7 @@ import hashlib
 import re
 from array import array
 from collections.abc import Iterator
+from itertools import repeat
 
 import numpy as np
 import pyarrow as pa
@@ -244,6 +249,117 @@ class Transducer:
         return [whole] if whole is not None else self.run(piece)
 
 
+class PieceEncoder:
+    """The transducer for many pieces at a time. A state stands for a beginning of pieces and holds the trie node and the state of origin
+    of each open position; beside it stands the token that ends there and the state before that token. States and moves are made in
+    arrays when first met and serve later batches, until there are more than ``max_states``; then the table starts anew.
+    """
+
+    def __init__(self, own: Transducer, *, max_states: int = 400_000) -> None:
+        self.own, self.max_states = own, max_states
+        edges = np.fromiter(own._step.keys(), np.int64, len(own._step))
+        order = np.argsort(edges)
+        self._edges = edges[order]
+        self._child = np.fromiter(own._step.values(), np.int32, len(own._step))[order]
+        self._token = np.array([t if t < 0 or own._edges(t) is not None else -1 for t in own._token_at], np.int32)
+        self._inner = np.array(own._inner)
+        self._reset()
+
+    def _reset(self) -> None:
+        self._n = 1
+        # by state: the token that ends here (-1: none yet), the state before it, where its open positions stand
+        self._last, self._origin = np.full(1024, -1, np.int32), np.zeros(1024, np.int32)
+        self._first, self._opens = np.zeros(1024, np.int64), np.zeros(1024, np.int32)
+        self._opens[0] = 1
+        self._held = 1
+        self._node, self._from = np.zeros(4096, np.int32), np.zeros(4096, np.int32)  # state 0: at the root, since itself
+        self._moves: dict[int, int] = {}
+
+    @staticmethod
+    def _room(x: np.ndarray, n: int) -> np.ndarray:
+        return x if n <= len(x) else np.concatenate([x, np.zeros(max(len(x) // 2, n - len(x)), x.dtype)])
+
+    def _apart(self, first: np.ndarray, second: np.ndarray) -> np.ndarray:
+        """Whether each pair of tokens stays apart; the start of a piece (-1) leaves everything apart."""
+        keys = first.astype(np.int64) << 32 | second
+        out = np.fromiter(map(self.own._stable.get, keys.tolist(), repeat(2)), np.int8, len(keys))
+        out[first < 0] = 1
+        for i in np.flatnonzero(out == 2).tolist():
+            out[i] = self.own._is_stable(int(first[i]), int(second[i]))
+        return out == 1
+
+    def _make(self, states: np.ndarray, byte: np.ndarray) -> int:
+        """Makes the states that given (state, byte) lead to; the number of the first one. All are live: every byte is a token."""
+        n, count, begin = len(states), self._opens[states].astype(np.int64), self._n
+        row = np.repeat(np.arange(n), count)
+        at = np.arange(len(row)) + np.repeat(self._first[states] - (np.cumsum(count) - count), count)
+        key, origin = self._node[at].astype(np.int64) << 8 | byte[row], self._from[at]
+        place = np.minimum(np.searchsorted(self._edges, key), len(self._edges) - 1)
+        alive = np.flatnonzero(self._edges[place] == key)
+        row, origin, child = row[alive], origin[alive], self._child[place[alive]]
+        token = self._token[child]
+        ends = np.flatnonzero(token >= 0)
+        good = ends[self._apart(self._last[origin[ends]], token[ends])]
+        self._n += n
+        self._last, self._origin, self._first, self._opens = (self._room(x, self._n) for x in (self._last, self._origin, self._first, self._opens))
+        mine = begin + row[good][::-1]  # exactly one for each state, as one encoding ends here
+        self._last[mine], self._origin[mine] = token[good][::-1], origin[good][::-1]
+        on = self._inner[child]
+        row, origin, child = row[on], origin[on], child[on]
+        # its open positions, and the root from here on behind them
+        count = np.bincount(row, minlength=n) + 1
+        first = np.cumsum(count) - count
+        held = self._held + int(count.sum())
+        self._node, self._from = self._room(self._node, held), self._room(self._from, held)
+        spot = self._held + np.arange(len(row)) + row
+        self._node[spot], self._from[spot] = child, origin
+        root = self._held + first + count - 1
+        self._node[root], self._from[root] = 0, begin + np.arange(n)
+        self._first[begin : self._n], self._opens[begin : self._n] = self._held + first, count
+        self._held = held
+        return begin
+
+    def encode(self, pieces: list[bytes]) -> tuple[np.ndarray, np.ndarray]:
+        """(ids of all pieces in a row, number of ids of each). Pieces are not empty."""
+        if self._n > self.max_states:
+            self._reset()
+        n = len(pieces)
+        order = sorted(range(n), key=pieces.__getitem__)
+        flat = np.frombuffer(b"".join([pieces[i] for i in order]), np.uint8)
+        size = np.fromiter((len(pieces[i]) for i in order), np.int64, n)
+        begin = np.cumsum(size) - size
+        state = np.zeros(n, np.int32)
+        live, step, old = np.arange(n), 0, self._n
+        while len(live):
+            key = state[live].astype(np.int64) << 8 | flat[begin[live] + step]
+            new = np.flatnonzero(np.r_[True, key[1:] != key[:-1]])  # sorted pieces: equal beginnings stand side by side
+            distinct, shared = key[new], np.diff(np.r_[new, len(key)]) > 1
+            to = np.full(len(distinct), -1, np.int32)
+            before = np.flatnonzero(distinct >> 8 < old)  # only older states can have moves
+            to[before] = np.fromiter(map(self._moves.get, distinct[before].tolist(), repeat(-1)), np.int32, len(before))
+            unknown = np.flatnonzero(to < 0)
+            if len(unknown):
+                missed = distinct[unknown]
+                made = self._make(missed >> 8, missed & 255)
+                to[unknown] = np.arange(made, made + len(missed))
+                kept = unknown[shared[unknown]]  # a move that one piece alone takes is not worth keeping
+                self._moves.update(zip(distinct[kept].tolist(), to[kept].tolist(), strict=True))
+            state[live] = np.repeat(to, np.diff(np.r_[new, len(key)]))
+            step += 1
+            live = live[size[live] > step]
+        back = []  # (piece, token) from the last token of each piece to its first
+        row, s = np.arange(n), state
+        while len(row):
+            back.append((row, self._last[s]))
+            s = self._origin[s]
+            going = s > 0
+            row, s = row[going], s[going]
+        rows = np.concatenate([r for r, _ in back[::-1]]) if back else np.zeros(0, np.int64)
+        tokens = np.concatenate([t for _, t in back[::-1]]) if back else np.zeros(0, np.int32)
+        given = np.asarray(order, np.int64)[rows]
+        return tokens[np.argsort(given, kind="stable")], np.bincount(given, minlength=n)
+
+
 class Utf8Machine:
     """Incremental UTF-8 decoding: bytes in any cut, whole characters out; unfinished characters wait for more bytes.
 
@@ -310,12 +426,17 @@ def splitter(pattern: str):
     return lambda text: plain(text) if _PLAIN.fullmatch(text) else find(text)
 
 
+#: Longer pieces go through the transducer one by one, as a step in arrays serves all pieces of a batch and few are so long.
+LONG_PIECE = 64
+
+
 class Codec:
     """Encoder and decoder of one vocabulary, with a bounded memory of encoded pieces."""
 
-    def __init__(self, path: str, pattern: str, *, max_pieces: int = 250_000) -> None:
+    def __init__(self, path: str, pattern: str, *, max_pieces: int = 150_000) -> None:
         self.ranks = load_ranks(path)
-        self.transducer = Transducer(self.ranks)
+        self.transducer = Transducer(self.ranks, max_states=20_000)
+        self.many = PieceEncoder(self.transducer)
         self.find = splitter(pattern)
         self._finditer = regex.compile(pattern).finditer
         self.table = np.empty(max(self.ranks.values()) + 1, object)
@@ -324,35 +445,40 @@ class Codec:
         self.max_pieces = max_pieces
         self._packed: dict[str, bytes] = {}
 
-    def packed(self, text: str | None) -> bytes:
-        """Ids of a text as little-endian unsigned 32-bit integers."""
-        if not text:
-            return b""
-        found = self.find(text)
-        try:
-            return b"".join(map(self._packed.__getitem__, found))
-        except KeyError:
-            return b"".join(map(self.learn(found).__getitem__, found))
+    def split(self, texts: list[str | None]) -> list[list[str]]:
+        """Pieces of each text; all of them are known afterwards."""
+        found = [self.find(t) if t else [] for t in texts]
+        self._learn(set().union(*found))
+        return found
+
+    def packed(self, found: list[str]) -> bytes:
+        """Ids of the pieces of a text as little-endian unsigned 32-bit integers."""
+        return b"".join(map(self._packed.__getitem__, found))
 
     def token_counts(self, found: list[str]) -> np.ndarray:
         """Number of ids of each piece."""
-        try:
-            sizes = np.fromiter(map(len, map(self._packed.__getitem__, found)), np.int64, len(found))
-        except KeyError:
-            sizes = np.fromiter(map(len, map(self.learn(found).__getitem__, found)), np.int64, len(found))
-        return sizes >> 2
-
-    def learn(self, found: list[str]) -> dict[str, bytes]:
-        """Packed ids of pieces, these among them. Beyond the bound the younger half goes: common pieces come early."""
+        return np.fromiter(map(len, map(self._packed.__getitem__, found)), np.int64, len(found)) >> 2
+
+    def _learn(self, wanted: set[str]) -> None:
+        """Encodes the pieces that are not known. Beyond the bound the younger half goes first: common pieces come early."""
         known = self._packed
         if len(known) > self.max_pieces:
             for piece in list(known)[self.max_pieces // 2 :]:
                 del known[piece]
-        encode = self.transducer.encode_piece
-        for piece in set(found):
-            if piece not in known:
-                known[piece] = array("I", encode(piece.encode("utf-8", "surrogatepass"))).tobytes()
-        return known
+        new = list(wanted.difference(known))
+        batch, raw, ranks = [], [], self.ranks
+        for piece in new:
+            data = piece.encode("utf-8", "surrogatepass")
+            if (whole := ranks.get(data)) is not None:
+                known[piece] = whole.to_bytes(4, "little")
+            elif len(data) > LONG_PIECE:
+                known[piece] = array("I", self.transducer.run(data)).tobytes()
+            else:
+                batch.append(piece), raw.append(data)
+        if batch:
+            tokens, counts = self.many.encode(raw)
+            flat, ends = tokens.astype("<u4").tobytes(), np.cumsum(4 * counts).tolist()
+            known.update(zip(batch, [flat[a:b] for a, b in zip([0, *ends], ends, strict=False)], strict=True))
 
     def match(self, text: str, at: int):
         """Matches of the pattern from a place on; what stands before it is not looked at."""
@@ -362,7 +488,7 @@ class Codec:
         return self.transducer.encode_piece(piece.encode("utf-8", "surrogatepass"))
 
     def encode(self, text: str | None) -> list[int]:
-        return np.frombuffer(self.packed(text), "<u4").tolist()
+        return np.frombuffer(self.packed(self.split([text])[0]), "<u4").tolist()
 
     def decode_bytes(self, ids: np.ndarray) -> bytes:
         return b"".join(self.table[ids].tolist())
@@ -377,16 +503,18 @@ def codec(path: str, pattern: str) -> Codec:
 
 
 _DIGEST = pa.schema([("doc_id", pa.int64()), ("n_tokens", pa.int64()), ("ids_sha256", pa.string()), ("decoded_sha256", pa.string())])
+#: Characters of the texts whose pieces are encoded together.
+BATCH_CHARS = 1_000_000
 #: Ids that are decoded at a time; the UTF-8 machine carries a character across the cut.
 DECODE_IDS = 1 << 16
 
 
 def _digest_batches(batches: Iterator[pa.RecordBatch], path: str, pattern: str) -> Iterator[pa.RecordBatch]:
     own = codec(path, pattern)
-    for ids, texts in pieces(batches):
+    for ids, texts in pieces(batches, BATCH_CHARS):
         n, a, b = [], [], []
-        for text in texts:
-            packed = own.packed(text)
+        for found in own.split(texts):
+            packed = own.packed(found)
             tokens = np.frombuffer(packed, "<u4")
             decoded, machine = hashlib.sha256(), Utf8Machine()
             for at in range(0, len(tokens), DECODE_IDS):
@@ -399,8 +527,8 @@ def _digest_batches(batches: Iterator[pa.RecordBatch], path: str, pattern: str)
 def _id_batches(batches: Iterator[pa.RecordBatch], path: str, pattern: str) -> Iterator[pa.RecordBatch]:
     own = codec(path, pattern)
     schema = pa.schema([("doc_id", pa.int64()), ("ids", pa.list_(pa.int32()))])
-    for ids, texts in pieces(batches):
-        yield record(schema, ids, [np.frombuffer(own.packed(t), "<i4") for t in texts])
+    for ids, texts in pieces(batches, BATCH_CHARS):
+        yield record(schema, ids, [np.frombuffer(own.packed(found), "<i4") for found in own.split(texts)])
 
 
 def bpe_encode(docs: DataFrame, path: str, pattern: str) -> DataFrame:

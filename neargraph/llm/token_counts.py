@@ -15,7 +15,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 
-from neargraph.llm.bpe import Codec, codec
+from neargraph.llm.bpe import BATCH_CHARS, Codec, codec
 from neargraph.llm.kernels import documents_of, pieces, record
 from neargraph.runtime import prepare
 
@@ -77,9 +77,9 @@ class SegmentTree:
 class CountedText:
     """A text, the ends of its pre-tokens and the tree of their token counts."""
 
-    def __init__(self, own: Codec, text: str) -> None:
+    def __init__(self, own: Codec, text: str, found: list[str] | None = None) -> None:
         self.own, self.text = own, text
-        found = own.find(text)
+        found = own.split([text])[0] if found is None else found
         self.ends = np.cumsum(np.fromiter(map(len, found), np.int64, len(found)))
         self.tree = SegmentTree(own.token_counts(found))
         self.encoded = 0
@@ -129,9 +129,12 @@ def digit_edits(text: str) -> list[tuple[int, int, str]]:
     return [(m.start(), m.end(), MASK) for m in DIGITS.finditer(text)]
 
 
-def count_with_edits(own: Codec, text: str | None, edits: list[tuple[int, int, str]]) -> tuple[int, int, int, int, int]:
-    """(tokens, pre-tokens, edits, tokens after them, pre-tokens encoded again); edits as places in the text as it was, not overlapping."""
-    counted = CountedText(own, text or "")
+def count_with_edits(own: Codec, text: str | None, edits: list[tuple[int, int, str]], found: list[str] | None = None) -> tuple[int, int, int, int, int]:
+    """(tokens, pre-tokens, edits, tokens after them, pre-tokens encoded again); edits as places in the text as it was, not overlapping.
+
+    ``found`` gives the pre-tokens of the text where ``Codec.split`` has been asked for them already.
+    """
+    counted = CountedText(own, text or "", found)
     before = counted.n_tokens, len(counted.ends)
     for start, end, new in sorted(edits, reverse=True):  # from the end, so that places hold
         counted.edit(start, end, new)
@@ -143,8 +146,8 @@ _SCHEMA = pa.schema([("doc_id", pa.int64()), *((n, pa.int64()) for n in ("n_toke
 
 def _count_batches(batches: Iterator[pa.RecordBatch], path: str, pattern: str, edits) -> Iterator[pa.RecordBatch]:
     own = codec(path, pattern)
-    for ids, texts in pieces(batches):
-        rows = [count_with_edits(own, t, edits(t or "")) for t in texts]
+    for ids, texts in pieces(batches, BATCH_CHARS):
+        rows = [count_with_edits(own, t, edits(t or ""), found) for t, found in zip(texts, own.split(texts), strict=True)]
         yield record(_SCHEMA, ids, *(list(c) for c in zip(*rows, strict=True)))
 
 

@@ -42,9 +42,19 @@ def test_transducer_equals_plain_merging(own, piece):
     assert own.transducer.run(piece) == bpe.merge_by_rank(piece, own.ranks)  # now by kept moves
 
 
+@settings(max_examples=60, deadline=None)
+@given(st.lists(st.lists(st.one_of(st.binary(min_size=1, max_size=12), st.text("aethnors é", min_size=1, max_size=9).map(str.encode)), min_size=1, max_size=12), min_size=1, max_size=3), st.sampled_from([1, 30, 400_000]))
+def test_many_pieces_equal_plain_merging(own, batches, most):
+    own.many.max_states = most  # small: the table of states starts anew between batches
+    for batch in batches:
+        tokens, counts = own.many.encode(batch)
+        expected = [bpe.merge_by_rank(piece, own.ranks) for piece in batch]
+        assert tokens.tolist() == [t for e in expected for t in e] and counts.tolist() == [len(e) for e in expected]
+
+
 def test_long_pieces_and_small_memory(reference, own):
     small = bpe.Codec(PATH, P.PATTERN, max_pieces=50)
-    small.transducer.max_states = 20
+    small.transducer.max_states = small.many.max_states = 20
     for text in ("a" * 5000, "ab" * 2000, "the cat sat on the mat " * 50, "é" * 700, "<|endoftext|>"):
         assert own.encode(text) == small.encode(text) == reference.encode_ordinary(text)
 
