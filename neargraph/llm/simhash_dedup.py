@@ -3,14 +3,14 @@
 Fingerprints are first reduced to distinct ones, so exact copies cost one row. Five tries hold every fingerprint, each
 rotated so that another of five bit segments comes first: two fingerprints within four bits agree in at least one whole
 segment, so below a segment's node nothing is lost. Below it a trie is joined with itself: pairs of nodes go down
-together, differing bits add up, and a pair goes as soon as they exceed the budget. Only a spanning forest of the links
-leaves a task, so a dense group costs its members and not its pairs.
+together, differing bits add up, and a pair goes as soon as they exceed the budget. A node with too many fingerprints for one
+task is cut again: what is left of its bits makes five segments once more, one of which must agree. Only a spanning forest of
+the links leaves a task, so a dense group costs its members and not its pairs.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
-from itertools import combinations
 
 import numpy as np
 import pyarrow as pa
@@ -30,8 +30,11 @@ _EDGE_SCHEMA = pa.schema([("a", pa.int64()), ("b", pa.int64())])
 
 SHINGLE_WORDS = 4
 BUDGET_BITS = 4
-#: A segment node with more distinct fingerprints than this is dealt to several tasks by further bits.
-BLOCK_ROWS = 200_000
+#: A node with more distinct fingerprints than this is cut by segments of its other bits, ``LEVELS`` times in all. Below the
+#: last level some 31 of 64 bits are shared, and at most 46,000 fingerprints lie within four bits of any one there.
+BLOCK_ROWS, LEVELS = 20_000, 3
+#: Keys of crowded nodes that are sent to every task; more of them are joined by a shuffle.
+BROADCAST_KEYS = 100_000
 
 
 def shingle_hashes(text: str | None, width: int = SHINGLE_WORDS, seed: int = 42) -> list[int]:
@@ -81,41 +84,35 @@ def fingerprints(docs: DataFrame) -> DataFrame:
     return documents_of(docs).mapInArrow(_fingerprint_batches, "doc_id long, fp long")
 
 
-def segments(budget: int = BUDGET_BITS) -> list[tuple[int, int]]:
-    """(first bit from the top, length) of ``budget + 1`` segments of 64 bits."""
-    n = budget + 1
-    cuts = [64 * i // n for i in range(n + 1)]
-    return [(cuts[i], cuts[i + 1] - cuts[i]) for i in range(n)]
-
-
-def trie_pairs(group: np.ndarray, values: np.ndarray, budget: int, known: np.ndarray | None = None, *, leaf: int = 64, chunk: int = 1_000_000) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+def trie_pairs(group: np.ndarray, values: np.ndarray, budget: int, known: np.ndarray | None = None, *, leaf: int = 64, chunk: int = 1 << 16) -> Iterator[tuple[np.ndarray, np.ndarray]]:
     """Pairs (i, j) of one group whose values differ in at most ``budget`` bits, by walking the trie with itself.
 
     ``group`` and ``values`` (uint64) are sorted by (group, value) and distinct. A trie node is an interval of the sorted
-    values. ``known`` may give labels of vertices already linked: a pair of nodes under one label is not gone into.
+    values. ``known`` may give labels of vertices already linked: a pair of nodes under one label is not gone into. At most
+    ``chunk`` pairs of nodes go down together and the deepest go first, so that few wait at any time.
     """
     n = len(values)
-    starts = np.flatnonzero(np.r_[True, group[1:] != group[:-1]]) if n else np.zeros(0, np.int64)
-    ends = np.r_[starts[1:], n]
+    starts = np.flatnonzero(np.r_[True, group[1:] != group[:-1]]).astype(np.int32) if n else np.zeros(0, np.int32)
+    ends = np.r_[starts[1:], np.int32(n)].astype(np.int32)
     run_end = None
     if known is not None and n:
         cut = np.flatnonzero(np.r_[known[1:] != known[:-1], True]) + 1
-        run_end = np.repeat(cut, np.diff(np.r_[0, cut]))
+        run_end = np.repeat(cut, np.diff(np.r_[0, cut])).astype(np.int32)
     ones: dict[int, np.ndarray] = {}
 
     def middle(lo, hi, depth):
         if depth not in ones:
-            ones[depth] = np.r_[0, np.cumsum((values >> np.uint64(63 - depth)) & np.uint64(1), dtype=np.int64)]
+            ones[depth] = np.r_[np.int32(0), np.cumsum((values >> np.uint64(63 - depth)) & np.uint64(1), dtype=np.int32)]
         c = ones[depth]
         return hi - (c[hi] - c[lo])
 
     stack = [(0, starts, ends, starts, ends, np.zeros(len(starts), np.int8))]
     while stack:
-        depth, a0, a1, b0, b1, err = stack.pop()
-        if len(a0) > chunk:
-            half = len(a0) // 2
-            stack += [(depth, *(x[:half] for x in (a0, a1, b0, b1, err))), (depth, *(x[half:] for x in (a0, a1, b0, b1, err)))]
-            continue
+        depth, *nodes = stack.pop()
+        if len(nodes[0]) > chunk:  # the rest waits
+            stack.append((depth, *(x[chunk:].copy() for x in nodes)))
+            nodes = [x[:chunk] for x in nodes]
+        a0, a1, b0, b1, err = nodes
         live = (a1 > a0) & (b1 > b0) & (err <= budget) & ~((a0 == b0) & (a1 - a0 == 1))
         if run_end is not None:
             i, j = np.minimum(a0, n - 1), np.minimum(b0, n - 1)
@@ -123,7 +120,7 @@ def trie_pairs(group: np.ndarray, values: np.ndarray, budget: int, known: np.nda
         a0, a1, b0, b1, err = (x[live] for x in (a0, a1, b0, b1, err))
         if not len(a0):
             continue
-        size = (a1 - a0) * (b1 - b0)
+        size = (a1 - a0).astype(np.int64) * (b1 - b0)
         small = (size <= leaf) | (depth >= 64)
         if small.any():
             order = np.flatnonzero(small)
@@ -142,7 +139,13 @@ def trie_pairs(group: np.ndarray, values: np.ndarray, budget: int, known: np.nda
         a0, a1, b0, b1, err = (x[big] for x in (a0, a1, b0, b1, err))
         am, bm, same = middle(a0, a1, depth), middle(b0, b1, depth), a0 == b0
         other = ~same  # of a node with itself, one of the two mixed pairs is enough
-        stack.append((depth + 1, np.r_[a0, am, a0, am[other]], np.r_[am, a1, am, a1[other]], np.r_[b0, bm, bm, b0[other]], np.r_[bm, b1, b1, bm[other]], np.r_[err, err, err + 1, err[other] + 1]))
+        high = err < budget  # mixed pairs differ in one more bit
+        cross = other & high
+        stack.append((depth + 1, np.r_[a0, am, a0[high], am[cross]], np.r_[am, a1, am[high], a1[cross]], np.r_[b0, bm, bm[high], b0[cross]], np.r_[bm, b1, b1[high], bm[cross]], np.r_[err, err, err[high] + 1, err[cross] + 1]))
+
+
+#: Links that are held before they are taken into the forest.
+WAITING = 250_000
 
 
 def link_forest(group: np.ndarray, values: np.ndarray, reps: np.ndarray, budget: int) -> tuple[np.ndarray, np.ndarray]:
@@ -151,31 +154,33 @@ def link_forest(group: np.ndarray, values: np.ndarray, reps: np.ndarray, budget:
     group, values, reps = group[order], values[order], reps[order]
     fresh = np.r_[True, (group[1:] != group[:-1]) | (values[1:] != values[:-1])] if len(values) else np.zeros(0, bool)
     group, values, reps = group[fresh], values[fresh], reps[fresh]
-    label = np.arange(len(values))
+    everyone = np.arange(len(values))
+    label = everyone
     for most in sorted({1, 2, budget} & set(range(budget + 1))):
-        held: list[tuple[np.ndarray, np.ndarray]] = [(label, np.arange(len(values)))]
-        waiting = 0
+        start, held, waiting = label, [], 0
 
-        def settle(held=held):
+        def settle() -> None:
             nonlocal label
-            member, root = _forest(np.concatenate([x for x, _ in held]), np.concatenate([y for _, y in held]))
-            label = np.arange(len(values))
+            x, y = (np.concatenate([h[side] for h in held]) for side in (0, 1))
+            member, root = _forest(np.r_[label[x], everyone], np.r_[label[y], label])
+            label = everyone.copy()
             label[member] = root
-            held[:] = [(label, np.arange(len(values)))]
 
-        for i, j in trie_pairs(group, values, most, label.copy()):
-            held.append((i, j))
-            waiting += len(i)
-            if waiting > 4_000_000:
+        for i, j in trie_pairs(group, values, most, start):
+            apart = label[i] != label[j]
+            held.append((i[apart], j[apart]))
+            waiting += int(apart.sum())
+            if waiting > WAITING:
                 settle()
-                waiting = 0
-        settle()
-    off = label != np.arange(len(values))
+                held, waiting = [], 0
+        if held:
+            settle()
+    off = label != everyone
     return reps[off], reps[label[off]]
 
 
-def _join_partition(batches: Iterator[pa.RecordBatch], budget: int, most: int = 400_000) -> Iterator[pa.RecordBatch]:
-    """Rows (key, turned, rep) sorted by key: whole groups are gathered up to ``most`` rows and joined."""
+def _join_partition(batches: Iterator[pa.RecordBatch], budget: int, most: int = 100_000) -> Iterator[pa.RecordBatch]:
+    """Rows (key, value, rep) sorted by key: whole groups are gathered up to ``most`` rows and joined."""
     keys, values, reps, n = [], [], [], 0
 
     def flush(k, v, r):
@@ -200,31 +205,33 @@ def _join_partition(batches: Iterator[pa.RecordBatch], budget: int, most: int =
         yield flush(np.concatenate(keys), np.concatenate(values), np.concatenate(reps))
 
 
-def hamming_components(classes: DataFrame, scratch: Scratch, *, budget: int = BUDGET_BITS, block_rows: int = BLOCK_ROWS) -> DataFrame:
+def _cut(rows: DataFrame, budget: int) -> DataFrame:
+    """Each row of (rep, key, fixed, value) once for each segment of its bits below the first ``fixed`` ones: the segment comes next and belongs to the key."""
+    n, width = budget + 1, F.lit(64) - F.col("fixed")
+    rows = rows.select("rep", "key", "fixed", "value", F.explode(F.array(*map(F.lit, range(n)))).alias("s"))
+    rows = rows.withColumn("at", F.floor(width * F.col("s") / n).cast("int")).withColumn("size", (F.floor(width * (F.col("s") + 1) / n)).cast("int") - F.col("at"))
+    low = "(value & shiftrightunsigned(-1L, fixed))"
+    turned = F.expr(f"(value & ~shiftrightunsigned(-1L, fixed)) | ((shiftleft({low}, at) | shiftrightunsigned({low}, 64 - fixed - at)) & shiftrightunsigned(-1L, fixed))")
+    rows = rows.select("rep", "key", "s", (F.col("fixed") + F.col("size")).alias("fixed"), turned.alias("value"))
+    # two keys under one hash would only mean more to compare
+    return rows.select("rep", F.xxhash64("key", "s", F.expr("shiftrightunsigned(value, 64 - fixed)")).alias("key"), "fixed", "value")
+
+
+def hamming_components(classes: DataFrame, scratch: Scratch, *, budget: int = BUDGET_BITS, block_rows: int = BLOCK_ROWS, levels: int = LEVELS) -> DataFrame:
     """``classes(fp long, rep long)``, fingerprints distinct and reps not null -> ``(id, component_id)`` of the linked reps."""
-    turned = []
-    for s, (first, length) in enumerate(segments(budget)):
-        turn = F.expr(f"shiftleft(fp, {first}) | shiftrightunsigned(fp, {64 - first})") if first else F.col("fp")
-        turned.append(F.struct(F.lit(s).alias("s"), F.shiftrightunsigned(turn, 64 - length).alias("seg"), F.lit(length).alias("length"), turn.alias("turned")))
-    rows = classes.select("rep", F.explode(F.array(*turned)).alias("t")).select("rep", "t.*")
-    # one row for each segment value: at most five times 2^13, however many documents there are
-    hot = {(r.s, r.seg): r.n for r in rows.groupBy("s", "seg").agg(F.count("*").alias("n")).where(F.col("n") > block_rows).collect()}
-    key = F.col("s").cast("long") * (1 << 14) + F.col("seg")
-    plain = rows
-    dealt = None
-    if hot:
-        names = [s * (1 << 14) + seg for s, seg in hot]
-        plain = rows.where(~key.isin(names))
-        bits = min(12, max(1, int(np.ceil(np.log2(max(hot.values()) / block_rows)))))
-        masks = [sum(1 << b for b in c) for k in range(min(budget, bits) + 1) for c in combinations(range(bits), k)]
-        sub = F.shiftrightunsigned(F.expr("shiftleft(turned, length)"), 64 - bits)
-        wide = rows.where(key.isin(names)).select("rep", "turned", key.alias("key"), sub.alias("sub"), F.explode(F.array(*map(F.lit, masks))).alias("mask"))
-        low, high = F.least("sub", F.col("sub").bitwiseXOR(F.col("mask"))), F.greatest("sub", F.col("sub").bitwiseXOR(F.col("mask")))
-        dealt = wide.select(((F.col("key") * (1 << bits) + low) * (1 << bits) + high + (1 << 60)).alias("key"), "turned", "rep")
-    rows = plain.select(key.alias("key"), "turned", "rep")
-    if dealt is not None:
-        rows = rows.union(dealt)
-    rows = rows.repartition(shuffle_partitions(scratch.spark), "key").sortWithinPartitions("key")
+    rows = _cut(classes.select("rep", F.lit(0).cast("long").alias("key"), F.lit(0).alias("fixed"), F.col("fp").alias("value")), budget)
+    settled = None
+    for _ in range(levels - 1):
+        crowded = scratch.keep(rows.groupBy("key").agg(F.count("*").alias("n")).where(F.col("n") > block_rows).select(F.col("key").alias("crowded")))
+        if not (keys := crowded.count()):
+            break
+        side = F.broadcast(crowded) if keys <= BROADCAST_KEYS else crowded
+        calm = rows.join(side, F.col("key") == F.col("crowded"), "left_anti")
+        settled = calm if settled is None else settled.union(calm)
+        rows = _cut(rows.join(side, F.col("key") == F.col("crowded"), "left_semi"), budget)
+    if settled is not None:
+        rows = settled.union(rows)
+    rows = rows.select("key", "value", "rep").repartition(shuffle_partitions(scratch.spark), "key").sortWithinPartitions("key")
     edges = rows.mapInArrow(lambda it: _join_partition(it, budget), "a long, b long")
     return components(edges, scratch)
 
