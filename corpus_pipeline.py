@@ -9,6 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from neargraph.llm import bpe, simhash_dedup, source_mix, suffix_dedup, toxicity
+from neargraph.llm.kernels import numbered
 from neargraph.llm.queries import VOCABULARY
 from neargraph.runtime import Scratch
 
@@ -22,33 +23,18 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return scored.where("predicted = 0").select(*COLUMNS)
 
 
-def _numbered(docs: DataFrame, scratch: Scratch) -> DataFrame:
-    """The documents under numbers 0, 1, ... as ``doc_id``, in order of id (null last) and content; ``given_id`` holds their own.
-
-    Equal tables get equal numbers whatever their partitions: a sorted table is written, and only its row count by partition is collected.
-    """
-    content = [F.xxhash64(*COLUMNS[1:], F.lit(seed)) for seed in (0, 1)]
-    tied = docs.withColumn("tie", F.monotonically_increasing_id())  # equal rows of one id need not go to one task
-    ordered = tied.orderBy(F.col("doc_id").asc_nulls_last(), *content, "tie").drop("tie")
-    placed = scratch.keep(ordered.withColumn("place", F.monotonically_increasing_id()).withColumn("part", F.shiftright("place", 33)))
-    counts = sorted((r.part, r.n) for r in placed.groupBy("part").agg(F.count("*").alias("n")).collect())
-    offsets = [(part, sum(n for _, n in counts[:i])) for i, (part, _) in enumerate(counts)]
-    first = docs.sparkSession.createDataFrame(offsets, "part long, first long")
-    number = F.col("first") + F.col("place").bitwiseAND((1 << 33) - 1)
-    return placed.join(F.broadcast(first), "part").select(number.alias("doc_id"), *COLUMNS[1:], F.col("doc_id").alias("given_id"))
-
-
 def by_row(docs: DataFrame, stage: Callable[[DataFrame], DataFrame]) -> DataFrame:
     """``stage`` over the documents, for stages that tell rows apart by id.
 
-    If some row has no id or several rows have the same, rows go by their numbers (see ``_numbered``) and get their ids back, so
-    that each row is a document of its own; one without an id is treated as any other, after those that have one.
+    If some row has no id or several rows have the same, rows go by their numbers in order of id (null last) and content, and get
+    their ids back, so that each row is a document of its own; one without an id is treated as any other, after those that have one.
     """
     docs = docs.select(*COLUMNS)
     odd = docs.groupBy("doc_id").agg(F.count("*").alias("n")).where("doc_id is null or n > 1")
     if odd.isEmpty():
         return stage(docs).select(*COLUMNS)
-    rows = _numbered(docs, Scratch(docs.sparkSession, "rows"))
+    content = [F.xxhash64(*COLUMNS[1:], F.lit(seed)) for seed in (0, 1)]
+    rows = numbered(docs.withColumnRenamed("doc_id", "given_id"), [F.col("given_id").asc_nulls_last(), *content], Scratch(docs.sparkSession, "rows"), "doc_id")
     return stage(rows).select(F.col("given_id").alias("doc_id"), *COLUMNS[1:])
 
 

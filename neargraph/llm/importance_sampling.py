@@ -1,8 +1,9 @@
 """Quality selection by importance resampling with hashed n-gram models.
 
-Two generative models of hashed word unigrams and bigrams are counted: of the target texts (labelled good) and of all raw
-texts. A document's weight is the logarithm of their ratio; adding Gumbel noise to the weights and keeping the largest keys
-draws a sample without replacement in proportion to the ratios. The k-th largest key is found by counting in ever finer bins.
+Two generative models of hashed word unigrams and bigrams are counted: of the target texts (a bounded sample of those labelled good)
+and of all raw texts. A document's weight is the logarithm of the ratio of its probabilities under the two; adding Gumbel noise to the
+weights and keeping the k largest keys draws k documents without replacement in proportion to the ratios. The k-th largest key
+is found by counting in ever finer bins.
 """
 
 from __future__ import annotations
@@ -13,25 +14,24 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from neargraph.llm.kernels import ascii_words, documents_of, pieces, record, resident
+from neargraph.llm.kernels import ascii_words, documents_of, numbered, pieces, record, resident
 from neargraph.runtime import Scratch, prepare
 
 BUCKETS = 10_000
-#: Share of all documents that the sample keeps.
-KEEP = 0.85
-#: Added to each bucket of the target model, as a share of an even spread over this many n-grams.
-SMOOTHING = 10_000.0
-#: Spread of the noise against weights per n-gram.
-TEMPERATURE = 0.02
+#: Most target texts that the target model is counted from, in the order of a hash of the id.
+TARGET_TEXTS = 50_000
+#: Texts that a kernel holds at a time.
+BATCH_TEXTS = 1024
 
 
 class Hasher:
     """Bucket counts of texts; remembers the hashes of up to ``limit`` words."""
 
-    def __init__(self, limit: int = 500_000) -> None:
+    def __init__(self, limit: int = 150_000) -> None:
         self.limit, self.known = limit, {}
 
     def buckets(self, text: str | None) -> np.ndarray:
@@ -59,12 +59,14 @@ def _count_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch
     """One row for each bucket and task: counts in all texts and in the target texts."""
     hasher = resident("grams", None, Hasher)
     counts = np.zeros((2, BUCKETS), np.int64)
-    for batch in batches:
-        for text, good in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist(), strict=True):
-            own = np.bincount(hasher.buckets(text), minlength=BUCKETS)
-            counts[0] += own
-            if good:
-                counts[1] += own
+    for whole in batches:
+        for at in range(0, whole.num_rows, BATCH_TEXTS):
+            batch = whole.slice(at, BATCH_TEXTS)
+            for text, good in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                own = np.bincount(hasher.buckets(text), minlength=BUCKETS)
+                counts[0] += own
+                if good:
+                    counts[1] += own
     schema = pa.schema([("bucket", pa.int64()), ("raw", pa.int64()), ("target", pa.int64())])
     full = np.flatnonzero(counts[0])
     yield record(schema, full, counts[0][full], counts[1][full])
@@ -72,20 +74,20 @@ def _count_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch
 
 def _weigh_batches(batches: Iterator[pa.RecordBatch], shared) -> Iterator[pa.RecordBatch]:
     ratio, hasher = shared.value, resident("grams", None, Hasher)
-    schema = pa.schema([("doc_id", pa.int64()), ("n_grams", pa.int64()), ("log_ratio", pa.float64())])
-    for ids, texts in pieces(batches):
-        n, weights = [], []
+    schema = pa.schema([("doc_id", pa.int64()), ("n_grams", pa.int64()), ("log_ratio", pa.float64()), ("text_hash", pa.int64())])
+    for ids, texts in pieces(batches, 1_000_000):
+        n, weights, hashes = [], [], []
         for text in texts:
             own = hasher.buckets(text)
             n.append(len(own)), weights.append(float(ratio[own].sum()))
-        yield record(schema, ids, n, weights)
+            hashes.append(xxhash.xxh3_64_intdigest((text or "").encode("utf-8", "surrogatepass")) - (1 << 63))
+        yield record(schema, ids, n, weights, hashes)
 
 
 def log_ratios(raw: np.ndarray, target: np.ndarray) -> np.ndarray:
-    """Logarithm of target over raw probability for each bucket; even where there is nothing to go by."""
-    spread = SMOOTHING / BUCKETS
-    p = (target + spread) / (target.sum() + SMOOTHING)
-    q = (raw + spread) / (raw.sum() + SMOOTHING)
+    """Logarithm of target over raw probability for each bucket, one count added to each."""
+    p = (target + 1) / (target.sum() + len(target))
+    q = (raw + 1) / (raw.sum() + len(raw))
     return np.log(p) - np.log(q)
 
 
@@ -109,38 +111,41 @@ def kth_largest(keys: DataFrame, column: str, k: int, *, bins: int = 4096, round
     return low
 
 
-def importance_sample(docs: DataFrame, labels: DataFrame, *, keep: float = KEEP, temperature: float = TEMPERATURE, seed: int = 5) -> DataFrame:
-    """``documents``, ``labels`` -> ``(doc_id, n_grams, log_ratio, weight, gumbel_key, selected)``, one row for each input row.
+def importance_sample(docs: DataFrame, labels: DataFrame, *, keep: float | None = None, target_texts: int = TARGET_TEXTS, seed: int = 5) -> DataFrame:
+    """``documents``, ``labels`` -> ``(doc_id, n_grams, log_ratio, gumbel_key, selected)``, one row for each input row.
 
-    The target model counts the texts labelled ``quality = 1``, the raw model all texts. ``weight`` is the logarithm of the
-    ratio for each n-gram, so that long texts weigh no more than short ones; ``selected`` marks the ceil(keep * rows) largest keys,
-    ties by smaller id. Null, empty and wordless texts have ratio 1. The noise depends on id and seed alone, so reruns agree and
-    repeated rows share it. Without target texts every weight is 0 and the sample is an even one.
+    The target model counts at most ``target_texts`` texts labelled ``quality = 1``, the raw model all texts. ``log_ratio`` is the sum of
+    the log ratios of a text's n-grams; exactly ceil(keep * rows) rows are selected, those of the largest keys. ``keep`` defaults to the share
+    of good ones among the labelled documents (1 without any). Null, empty and wordless texts have ratio 1. The noise depends on id, text
+    and seed alone, so reruns agree; rows that repeat id and text share their key, and if the cut falls between them some are
+    selected and some are not. Other ties go to the smaller id, null last. Without target texts every ratio is 1 and the sample is an even
+    one. An empty table gives an empty result. A document labelled both good and bad counts as good.
     """
     spark = prepare(docs.sparkSession)
     scratch = Scratch(spark, "importance")
-    good = labels.where("quality = 1").select(F.col("doc_id").cast("long").alias("good_id")).where("good_id is not null").distinct()
     texts = documents_of(docs)
-    marked = texts.join(good, texts.doc_id == good.good_id, "left").select("doc_id", "text", F.col("good_id").isNotNull().alias("good"))
+    marks = labels.select(F.col("doc_id").cast("long").alias("label_id"), F.col("quality").cast("int").alias("quality")).where("quality in (0, 1) and label_id is not null")
+    marks = marks.groupBy("label_id").agg(F.max("quality").alias("quality"))
+    if keep is None:
+        keep = marks.agg(F.avg("quality")).first()[0]
+        keep = 1.0 if keep is None else float(keep)
+    good = marks.where("quality = 1").select("label_id").join(texts.select("doc_id"), F.col("label_id") == F.col("doc_id"), "left_semi")
+    good = good.orderBy(F.xxhash64("label_id"), "label_id").limit(target_texts)  # a broadcast of at most so many ids
+    marked = texts.join(F.broadcast(good), texts.doc_id == good.label_id, "left").select("text", F.col("label_id").isNotNull().alias("good"))
     counts = marked.mapInArrow(_count_batches, "bucket long, raw long, target long").groupBy("bucket").agg(F.sum("raw").alias("raw"), F.sum("target").alias("target")).toPandas()  # at most BUCKETS rows
     raw, target = np.zeros(BUCKETS), np.zeros(BUCKETS)
     raw[counts["bucket"]], target[counts["bucket"]] = counts["raw"], counts["target"]
     shared = spark.sparkContext.broadcast(log_ratios(raw, target) if target.sum() else np.zeros(BUCKETS))
-    weighed = texts.mapInArrow(lambda it: _weigh_batches(it, shared), "doc_id long, n_grams long, log_ratio double")
-    uniform = (F.pmod(F.xxhash64("doc_id", F.lit(seed)), F.lit(1 << 52)).cast("double") + 0.5) / float(1 << 52)
-    weight = F.when(F.col("n_grams") > 0, F.col("log_ratio") / F.col("n_grams")).otherwise(0.0)
-    keyed = weighed.withColumn("weight", weight).withColumn("gumbel_key", F.col("weight") / temperature - F.log(-F.log(uniform)))
-    keyed = scratch.keep(keyed)
+    weighed = texts.mapInArrow(lambda it: _weigh_batches(it, shared), "doc_id long, n_grams long, log_ratio double, text_hash long")
+    uniform = (F.pmod(F.xxhash64("doc_id", "text_hash", F.lit(seed)), F.lit(1 << 52)).cast("double") + 0.5) / float(1 << 52)
+    keyed = scratch.keep(weighed.withColumn("gumbel_key", F.col("log_ratio") - F.log(-F.log(uniform))))
     n = keyed.count()
-    if not n:
-        return keyed.withColumn("selected", F.lit(False))
+    columns = ("doc_id", "n_grams", "log_ratio", "gumbel_key")
     k = math.ceil(keep * n)
+    if not k:
+        return keyed.select(*columns, F.lit(False).alias("selected"))
     cut = kth_largest(keyed, "gumbel_key", k)
     above = keyed.where(F.col("gumbel_key") > cut).count()
-    tied = keyed.where(F.col("gumbel_key") == cut)
-    if above + tied.count() > k:
-        last = kth_largest(tied.select((-F.coalesce(F.col("doc_id"), F.lit(1 << 60)).cast("double")).alias("v")), "v", k - above)
-        chosen = (F.col("gumbel_key") > cut) | ((F.col("gumbel_key") == cut) & (-F.coalesce(F.col("doc_id"), F.lit(1 << 60)).cast("double") >= last))
-    else:
-        chosen = F.col("gumbel_key") >= cut
-    return keyed.withColumn("selected", chosen)
+    tied = numbered(keyed.where(F.col("gumbel_key") == cut), [F.col("doc_id").asc_nulls_last(), "text_hash"], scratch)
+    apart = keyed.where(F.col("gumbel_key") != cut).select(*columns, (F.col("gumbel_key") > cut).alias("selected"))
+    return apart.unionByName(tied.select(*columns, (F.col("number") < k - above).alias("selected")))

@@ -8,6 +8,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from neargraph.runtime import Scratch
+
 
 def ascii_words(text: str | None, *, lower: bool = False) -> list[bytes]:
     r"""Maximal runs of ``[^\x20\x09-\x0D]``, as UTF-8; ``lower`` changes A-Z only. No text: no words."""
@@ -36,6 +38,23 @@ def pieces(batches: Iterator[pa.RecordBatch], max_chars: int = 4_000_000) -> Ite
             yield ids.slice(at), texts[at:]
 
 
+def numbered(rows: DataFrame, order: list, scratch: Scratch, name: str = "number") -> DataFrame:
+    """The rows with numbers 0, 1, ... in an order. Equal tables get equal numbers whatever their partitions, as rows that tie in the
+    whole order should be alike. A sorted table is written, and only its row count by partition is collected.
+    """
+    tied = rows.withColumn("_tie", F.monotonically_increasing_id())  # equal rows need not go to one task
+    placed = scratch.keep(tied.orderBy(*order, "_tie").drop("_tie").withColumn("_place", F.monotonically_increasing_id()))
+    part, spot = F.shiftright("_place", 33), F.col("_place").bitwiseAND((1 << 33) - 1)
+    counts = sorted((r.part, r.n) for r in placed.groupBy(part.alias("part")).agg(F.count("*").alias("n")).collect())
+    offsets, before = [], 0
+    for p, n in counts:
+        offsets.append((p, before))
+        before += n
+    first = scratch.spark.createDataFrame(offsets, "_part long, _first long")
+    joined = placed.join(F.broadcast(first), part == F.col("_part"))  # one row for each partition
+    return joined.select(*rows.columns, (F.col("_first") + spot).alias(name))
+
+
 _RESIDENT: dict = {}
 
 

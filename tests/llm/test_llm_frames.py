@@ -42,6 +42,28 @@ def docs(spark):
     return spark.createDataFrame([(i, t, "en", f"s{(i or 0) % 3}" if (i or 0) % 7 else None, len(t or ""), "x", 1, 2, 3, 4, 5, "y", "z") for i, t in rows], DOC).cache()
 
 
+def test_importance_takes_exactly_k_of_rows_that_tie(spark, labels):
+    rows = [(5, "the same")] * 30 + [(None, None)] * 20 + [(None, "x")] * 7
+    frame = spark.createDataFrame(rows, "doc_id long, text string").repartition(5)
+    outcome = []
+    for keep, k in ((0.5, 29), (0.1, 6), (1.0, 57), (0.0, 0)):
+        got = [collected(importance_sampling.importance_sample(frame.repartition(parts), labels, keep=keep)) for parts in (2, 7)]
+        assert [sum(r["selected"] for r in g) for g in got] == [k, k]
+        outcome.append([Counter((r["doc_id"], r["n_grams"], r["selected"]) for r in g) for g in got])
+    assert all(a == b for a, b in outcome)  # reruns agree
+
+
+def test_importance_draws_in_proportion_to_the_ratios(spark):
+    # raw texts half "a", half "b"; target texts three quarters "a": ratios 1.5 and 0.5, so "a" goes in three times as often
+    n, k = 8000, 400
+    docs = spark.createDataFrame([(i, "ab"[i % 2]) for i in range(n)], "doc_id long, text string")
+    labels = spark.createDataFrame([(i, 1) for i in range(n) if i % 2 == 0 or i % 6 == 1], "doc_id long, quality int")
+    got = [r for r in collected(importance_sampling.importance_sample(docs, labels, keep=k / n)) if r["selected"]]
+    assert len(got) == k
+    share = sum(r["doc_id"] % 2 == 0 for r in got) / k
+    assert abs(share - 0.74) < 0.07  # 3 / 4, a little less as the "a" run out; three standard deviations
+
+
 @pytest.fixture(scope="module")
 def labels(spark):
     return spark.createDataFrame([(i, 1, int(i % 9 == 0)) for i in range(60)] + [(None, 1, 1), (5000, 0, 1), (3, None, None)], "doc_id long, quality int, toxic int")
@@ -181,7 +203,7 @@ def test_toxicity_learns_from_its_own_rows_only(spark, docs, labels):
 def test_importance(spark, docs, labels):
     got = collected(importance_sampling.importance_sample(docs, labels, keep=0.5))
     n = docs.count()
-    assert len(got) == n and sum(r["selected"] for r in got) in (-(-n // 2), -(-n // 2) + 1)  # a repeated row shares its key
+    assert len(got) == n and sum(r["selected"] for r in got) == -(-n // 2)
     low = min(r["gumbel_key"] for r in got if r["selected"])
     assert all(r["gumbel_key"] <= low for r in got if not r["selected"])
     h = importance_sampling.Hasher()
@@ -195,6 +217,7 @@ def test_importance(spark, docs, labels):
     want = Counter((r.doc_id, round(float(ratio[h.buckets(r.text)].sum()), 6)) for r in docs.collect())
     assert Counter((r["doc_id"], round(r["log_ratio"], 6)) for r in got) == want
     assert importance_sampling.importance_sample(docs.where("false"), labels).count() == 0
+    assert all(r["selected"] and r["log_ratio"] == 0 for r in collected(importance_sampling.importance_sample(docs, labels.where("false"))))
     keys = spark.createDataFrame([(float(v),) for v in [5, 1, 3, 3, 3, -2, 8]], "v double")
     assert [importance_sampling.kth_largest(keys, "v", k, bins=3, rounds=60) for k in range(1, 8)] == [8, 5, 3, 3, 3, 1, -2]
 
