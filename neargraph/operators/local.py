@@ -372,6 +372,24 @@ class VisitedSet:
         self.insert(rows[r], keep[r, c])
 
 
+class SeenMap:
+    """A full visited set as one flag for each node of the shard: takes the place of a table that would need more memory."""
+
+    def __init__(self, queries: int, nodes: int) -> None:
+        self.seen = np.zeros((queries, nodes), bool)
+        self.collisions, self.overflows, self.resets = (np.zeros(queries, np.int64) for _ in range(3))
+
+    def insert(self, rows: np.ndarray, ids: np.ndarray) -> np.ndarray:
+        new = ~self.seen[rows, ids]
+        self.seen[rows, ids] = True
+        return new
+
+
+def full_set(queries: int, nodes: int, slots: int) -> VisitedSet | SeenMap:
+    """The smaller of a table of 8-byte slots and of a flag for each node; both answer alike."""
+    return SeenMap(queries, nodes) if nodes <= 8 * slots else VisitedSet(queries, int(np.log2(slots)))
+
+
 # ---------------------------------------------------------------- search
 @dataclass
 class Found:
@@ -390,13 +408,22 @@ def seed_nodes(qids: np.ndarray, count: int, seed: int, n: int) -> np.ndarray:
     return t * SEED_FACTOR % SEED_MODULUS % n
 
 
+def _sorted_order(dist: np.ndarray, ids: np.ndarray) -> np.ndarray:
+    """Order of each row by (distance, id), nodes that are not there (-1, at no finite distance) last."""
+    order = np.argsort(dist, axis=1, kind="stable")
+    ranked = np.take_along_axis(dist, order, 1)
+    tied = np.flatnonzero(((ranked[:, 1:] == ranked[:, :-1]) & (ranked[:, 1:] < np.inf)).any(axis=1))
+    if len(tied):
+        order[tied] = np.lexsort((np.where(ids[tied] < 0, np.iinfo(np.int64).max, ids[tied]), dist[tied]), axis=1)
+    return order
+
+
 def merge_top(ids, dist, flag, c_ids, c_dist, M, how="auto"):
     """Best M of a sorted list and new candidates. 'merge' sorts the candidates and places both by rank; 'partition' selects, then sorts."""
     if how == "auto":
         how = choose_merge(c_ids.shape[1])
-    far = np.iinfo(np.int64).max
     if how == "merge":
-        order = np.lexsort((np.where(c_ids < 0, far, c_ids), c_dist), axis=1)
+        order = _sorted_order(c_dist, c_ids)
         c_ids, c_dist = np.take_along_axis(c_ids, order, 1), np.take_along_axis(c_dist, order, 1)
     all_ids, all_dist = np.concatenate([ids, c_ids], 1), np.concatenate([dist, c_dist], 1)
     all_flag = np.concatenate([flag, np.zeros(c_ids.shape, bool)], 1)
@@ -405,7 +432,7 @@ def merge_top(ids, dist, flag, c_ids, c_dist, M, how="auto"):
         width = max(M, int((all_dist <= cut).sum(axis=1).max()))
         part = np.argsort(all_dist > cut, axis=1, kind="stable")[:, :width]
         all_ids, all_dist, all_flag = (np.take_along_axis(v, part, 1) for v in (all_ids, all_dist, all_flag))
-    order = np.lexsort((np.where(all_ids < 0, far, all_ids), all_dist), axis=1)
+    order = _sorted_order(all_dist, all_ids)
     all_ids, all_dist, all_flag = (np.take_along_axis(v, order, 1) for v in (all_ids, all_dist, all_flag))
     again = np.zeros(all_ids.shape, bool)  # an id that was forgotten and came again stands beside itself
     again[:, 1:] = (all_ids[:, 1:] == all_ids[:, :-1]) & (all_ids[:, 1:] >= 0)
@@ -477,6 +504,12 @@ def _walk_few(x, adj, q, params: SearchParams, qids) -> Found:
     return out
 
 
+def joined(parts: list[Found]) -> Found:
+    """The results of consecutive slices of a batch as one."""
+    columns = [np.concatenate([getattr(part, name) for part in parts]) for name in ("ids", "dist", "n_dist", "rounds")]
+    return Found(*columns, {name: np.concatenate([part.extra[name] for part in parts]) for name in parts[0].extra})
+
+
 def search_solo(x: np.ndarray, adj: np.ndarray, q: np.ndarray, params: SearchParams, qids: np.ndarray | None = None) -> Found:
     """One worker walks for each query; all queries of a batch go in step, finished ones drop out.
 
@@ -489,8 +522,13 @@ def search_solo(x: np.ndarray, adj: np.ndarray, q: np.ndarray, params: SearchPar
     qids = np.arange(count) if qids is None else np.asarray(qids)
     if count <= FEW_QUERIES and p == 1 and params.visited == "full" and params.stop == "exhausted":
         return _walk_few(x, adj, q, params, qids)
-    bits = params.bits if params.visited == "forget" else int(np.log2(table_size(params.rounds, p, d)))
-    seen = None if params.visited == "none" else VisitedSet(count, bits)
+    if count > (most := params.in_step):  # slices, whose lists and gathered vectors stay in a core's cache
+        return joined([search_solo(x, adj, q[at : at + most], params, qids[at : at + most]) for at in range(0, count, most)])
+    seen = None
+    if params.visited == "forget":
+        seen = VisitedSet(count, params.bits)
+    elif params.visited == "full":
+        seen = full_set(count, n, table_size(params.rounds, p, d))
     ids, dist, flag = np.full((count, M), -1, np.int64), np.full((count, M), np.inf), np.zeros((count, M), bool)
     cand = seed_nodes(qids, p * d, params.seed, n)
     n_dist, rounds = np.zeros(count, np.int64), np.zeros(count, np.int64)
@@ -528,44 +566,97 @@ def search_team(x: np.ndarray, adj: np.ndarray, q: np.ndarray, params: SearchPar
     """Several walkers for each query, each with a list of its own and one node a round, and one visited set between them.
 
     Of a node that several walkers reach in a round, the walker with the smallest number takes it. ``sharing='private'`` leaves
-    each walker its own set. The lists are merged at the end.
+    each walker its own set. All walkers of a query, and all queries of a slice, go in one step: their candidates meet the visited
+    set and the vectors together. The lists, of ``team_list`` entries each, are merged at the end.
     """
     n, d = adj.shape
-    k, M, W = params.k, params.M, params.walkers
+    k, W = params.k, params.walkers
+    M = params.team_list or params.M
     count = len(q)
     qids = np.arange(count) if qids is None else np.asarray(qids)
-    bits = int(np.log2(table_size(params.rounds, W, d)))
+    if params.sharing == "superstep" and count <= FEW_QUERIES:
+        return _team_few(x, adj, q, params, qids)
+    if count > (step := max(1, params.in_step // W)):
+        return joined([search_team(x, adj, q[at : at + step], params, qids[at : at + step]) for at in range(0, count, step)])
     shared = params.sharing == "superstep"
-    sets = [VisitedSet(count, bits)] * W if shared else [VisitedSet(count, bits) for _ in range(W)]
-    ids, dist, flag = np.full((count, W, M), -1, np.int64), np.full((count, W, M), np.inf), np.zeros((count, W, M), bool)
-    starts = seed_nodes(qids, W * d, params.seed, n).reshape(count, W, d)
-    cand = [starts[:, w] for w in range(W)]
+    slots = table_size(params.rounds, W, d)
+    sets = full_set(count if shared else count * W, n, slots)
+    # row i * W + w is walker w of query i
+    ids, dist, flag = np.full((count * W, M), -1, np.int64), np.full((count * W, M), np.inf), np.zeros((count * W, M), bool)
+    active = np.arange(count * W)
+    cand = seed_nodes(qids, W * d, params.seed, n).reshape(count * W, d)
     n_dist, rounds = np.zeros(count, np.int64), np.zeros(count, np.int64)
-    rows = [np.arange(count)] * W
     for step in range(params.rounds + 1):
-        nxt_rows, nxt_cand = [], []
-        for w in range(W):
-            r = rows[w]
-            if not len(r):
-                nxt_rows.append(r), nxt_cand.append(cand[w][:0])
-                continue
-            fresh = _first_time(cand[w], r, sets[w])
-            cd = np.where(fresh, gathered_distances(q[r], x[np.maximum(cand[w], 0)], params.metric), np.inf)
-            n_dist[r] += fresh.sum(axis=1)
-            ids[r, w], dist[r, w], flag[r, w] = merge_top(ids[r, w], dist[r, w], flag[r, w], np.where(fresh, cand[w], -1), cd, M, params.merge)
-            open_ = ~flag[r, w] & (ids[r, w] >= 0)
-            going = open_.any(axis=1)
-            rounds[r] = np.maximum(rounds[r], step)
-            r, open_ = r[going], open_[going]
-            first = open_.argmax(axis=1)
-            flag[r, w, first] = True
-            nxt_rows.append(r), nxt_cand.append(adj[ids[r, w, first]] if len(r) else cand[w][:0])
-        rows, cand = nxt_rows, nxt_cand
-        if step == params.rounds or not any(map(len, rows)):
+        owner = active // W
+        if shared:  # the candidates of a query's walkers in a row, smaller walkers first
+            row, col = np.nonzero(cand >= 0)
+            key = owner[row] * n + cand[row, col]
+            first = np.unique(key, return_index=True)[1]
+            new = sets.insert(owner[row[first]], cand[row[first], col[first]])
+            fresh = np.zeros(cand.shape, bool)
+            fresh[row[first[new]], col[first[new]]] = True
+        else:
+            fresh = _first_time(cand, active, sets)
+        cd = np.where(fresh, gathered_distances(q[owner], x[np.maximum(cand, 0)], params.metric), np.inf)
+        np.add.at(n_dist, owner, fresh.sum(axis=1))
+        ids[active], dist[active], flag[active] = merge_top(ids[active], dist[active], flag[active], np.where(fresh, cand, -1), cd, M, params.merge)
+        np.maximum.at(rounds, owner, step)
+        open_ = ~flag[active] & (ids[active] >= 0)
+        going = open_.any(axis=1)
+        active, open_ = active[going], open_[going]
+        if step == params.rounds or not len(active):
             break
+        first = open_.argmax(axis=1)
+        flag[active, first] = True
+        cand = adj[ids[active, first]]
     flat_ids, flat_dist = ids.reshape(count, -1), dist.reshape(count, -1)
     out_ids, out_dist, _ = merge_top(np.full((count, k), -1, np.int64), np.full((count, k), np.inf), np.zeros((count, k), bool), flat_ids, flat_dist, k, "merge")
-    return Found(out_ids, out_dist, n_dist, rounds, {"collisions": sum(s.collisions for s in ([sets[0]] if shared else sets))})
+    collisions = sets.collisions if shared else sets.collisions.reshape(count, W).sum(axis=1)
+    return Found(out_ids, out_dist, n_dist, rounds, {"collisions": collisions})
+
+
+def _team_few(x, adj, q, params: SearchParams, qids) -> Found:
+    """The same team with a sorted list and a heap for each walker; the new nodes of all walkers of a round are measured in one go."""
+    n, d = adj.shape
+    k, W, M = params.k, params.walkers, params.team_list or params.M
+    out = Found(np.full((len(q), k), -1, np.int64), np.full((len(q), k), np.inf), np.zeros(len(q), np.int64), np.zeros(len(q), np.int64))
+    for i, target in enumerate(q):
+        one, seen = target[None], set()
+        cand = seed_nodes(qids[i : i + 1], W * d, params.seed, n)[0].reshape(W, d).tolist()
+        walkers = list(range(W))
+        tops: list[list] = [[] for _ in walkers]
+        todos: list[list] = [[] for _ in walkers]
+        n_dist = 0
+        for step in range(params.rounds + 1):
+            out.rounds[i] = step
+            new, of = [], []
+            for w, own in zip(walkers, cand, strict=True):
+                for u in own:
+                    if u >= 0 and u not in seen:
+                        seen.add(u)
+                        new.append(u), of.append(w)
+            if new:
+                n_dist += len(new)
+                for dist, u, w in zip(gathered_distances(one, x[new][None], params.metric)[0].tolist(), new, of, strict=True):
+                    top, entry = tops[w], (dist, u)
+                    if len(top) < M or entry < top[-1]:
+                        insort(top, entry)
+                        heappush(todos[w], entry)
+                        if len(top) > M:
+                            top.pop()
+            going, cand = [], []
+            for w in walkers:
+                best = heappop(todos[w]) if todos[w] else None
+                if best is not None and not (len(tops[w]) == M and best > tops[w][-1]):
+                    going.append(w), cand.append(adj[best[1]].tolist())
+            walkers = going
+            if not walkers:
+                break
+        near = sorted(entry for top in tops for entry in top)[:k]
+        out.ids[i, : len(near)], out.dist[i, : len(near)] = [u for _, u in near], [v for v, _ in near]
+        out.n_dist[i] = n_dist
+    out.extra["collisions"] = np.zeros(len(q), np.int64)
+    return out
 
 
 def recall(found: np.ndarray, truth: np.ndarray) -> float:

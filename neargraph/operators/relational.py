@@ -47,9 +47,62 @@ def knn_edges(vecs: DataFrame, degree: int, *, metric: str = "l2") -> DataFrame:
     return hits.select(F.col("qid").alias("src"), (F.col("rnk") - 1).alias("rank"), F.col("nid").alias("dst"), "dist")
 
 
-def radius_join(vecs: DataFrame, queries: DataFrame, r: float, *, metric: str = "l2") -> DataFrame:
-    q = queries.select("qid", F.col("vec").alias("qvec"))
-    return vecs.crossJoin(F.broadcast(q)).select("qid", F.col("id").alias("nid"), distance(metric, "vec", "qvec").alias("dist")).where(F.col("dist") <= r)
+def descent_edges(vecs: DataFrame, degree: int, scratch: Scratch, *, metric: str = "l2", rho: float = 0.5, delta: float = 0.001, max_iter: int = 12, seed: int = 1) -> DataFrame:
+    """Approximate base graph (src, rank, dst, dist) by neighbour descent, one plan a round, for sets that no task holds.
+
+    Ids are dense from 0. A node brings together at most ``2 * ceil(rho * degree)`` neighbours new since the last round, forward and back,
+    with as many old ones: pairs in proportion to the number of nodes, whatever the data. Rounds end when few entries change.
+    """
+    n, last = vecs.agg(F.count("*"), F.max("id")).first()
+    if not 0 < degree < n or last != n - 1:
+        raise ValueError("dense ids and a degree between 1 and N - 1 are needed")
+    most = max(1, int(-(-rho * degree // 1)))
+    v = scratch.keep(vecs.select("id", "vec"))
+
+    def measured(pairs: DataFrame) -> DataFrame:
+        """(a, b) -> (src, dst, dist) both ways."""
+        x, y = (v.select(F.col("id").alias(c), F.col("vec").alias(f"v{c}")) for c in "ab")
+        both = pairs.join(x, "a").join(y, "b").select("a", "b", distance(metric, "va", "vb").alias("dist"))
+        return both.select(F.explode(F.array(F.struct(F.col("a").alias("src"), F.col("b").alias("dst"), "dist"), F.struct(F.col("b").alias("src"), F.col("a").alias("dst"), "dist"))).alias("e")).select("e.*")
+
+    def ordered(a, b):
+        return F.least(a, b).alias("a"), F.greatest(a, b).alias("b")
+
+    def best(rows: DataFrame) -> DataFrame:
+        once = rows.groupBy("src", "dst").agg(F.min("dist").alias("dist"), F.min("age").alias("age"))
+        place = F.row_number().over(Window.partitionBy("src").orderBy("dist", "dst"))
+        return once.withColumn("rank", place).where(F.col("rank") <= degree)
+
+    other = (F.col("id") + 1 + F.pmod(F.xxhash64("id", "j", F.lit(seed)), F.lit(n - 1))) % n
+    starts = v.select("id", F.explode(F.sequence(F.lit(0), F.lit(degree - 1))).alias("j")).select(*ordered(F.col("id"), other)).distinct()
+    # age 0: met and joined before, 1: kept but not yet joined, 2: came in the last round
+    lists = scratch.keep(best(measured(starts).withColumn("age", F.lit(2))))
+    for turn in range(max_iter):
+        lot = F.xxhash64("src", "dst", F.lit(seed + turn))
+        young = F.col("age") > 0
+
+        def drawn(by: str, lot=lot, young=young):
+            place = F.row_number().over(Window.partitionBy(by, young).orderBy(lot, "src", "dst"))
+            return lists.select("src", "dst", young.alias("young"), place.alias("place")).where(F.col("place") <= most)
+
+        ahead = scratch.keep(drawn("src").select("src", "dst", "young"))
+        near = ahead.select(F.col("src").alias("node"), F.col("dst").alias("u"), "young").union(drawn("dst").select(F.col("dst").alias("node"), F.col("src").alias("u"), "young"))
+        sides = near.groupBy("node").agg(F.collect_set(F.when(F.col("young"), F.col("u"))).alias("fresh"), F.collect_set("u").alias("all"))
+        pairs = sides.select(F.explode("fresh").alias("x"), "all").select("x", F.explode("all").alias("y")).where("x <> y").select(*ordered(F.col("x"), F.col("y"))).distinct()
+        came = measured(pairs).withColumn("age", F.lit(2))
+        joined = ahead.where("young").select("src", "dst", F.lit(True).alias("went"))
+        kept = lists.join(joined, ["src", "dst"], "left").select("src", "dst", "dist", F.when(F.col("went") | (F.col("age") == 0), 0).otherwise(1).alias("age"))
+        old, lists = lists, scratch.keep(best(kept.unionByName(came)))
+        scratch.drop(old, ahead)
+        if lists.where("age = 2").count() < delta * n * degree:
+            break
+    return lists.select("src", (F.col("rank") - 1).alias("rank"), "dst", "dist")
+
+
+def radius_join(vecs: DataFrame, queries: DataFrame, r: float, *, metric: str = "l2", n_queries: int | None = None, dim: int = 1024) -> DataFrame:
+    """(qid, nid, dist) of all vectors within ``r`` of each query."""
+    q = _small(queries.select("qid", F.col("vec").alias("qvec")), queries.count() if n_queries is None else n_queries, dim)
+    return vecs.crossJoin(q).select("qid", F.col("id").alias("nid"), distance(metric, "vec", "qvec").alias("dist")).where(F.col("dist") <= r)
 
 
 # ---------------------------------------------------------------- lists and edges

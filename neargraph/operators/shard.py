@@ -1,7 +1,8 @@
 """Sharded index: every shard builds its own graph in one task, is searched by itself, and the best of all shards are merged.
 
-Nothing is shuffled but the vectors to their shard, once. A search reads each shard once for a batch of queries, whatever the
-number of rounds; only k rows for each query and shard leave it.
+A search reads each shard once for a batch of queries, whatever the number of rounds; only k rows for each query and shard leave
+it. An index of rows is brought together by shard in each search; a packed one (``pack``) holds a shard in one row, and
+nothing of it is shuffled again.
 """
 
 from __future__ import annotations
@@ -74,32 +75,70 @@ def build(vecs: DataFrame, d: int, *, factor: int = 3, metric: str = "l2", base:
     return vecs.select("shard_id", "id", "vec").groupBy("shard_id").applyInPandas(run, "shard_id int, id long, vec array<float>, nbrs array<long>")
 
 
-def _searcher(shared, params: SearchParams, mode: str):
+_FOUND = "qid long, nid long, dist double, n_dist long, rounds long"
+
+
+def _arrays(pdf: pd.DataFrame) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Rows of a shard -> (ids in order, vectors, places of neighbours padded with -1)."""
+    pdf = pdf.sort_values("id", kind="stable")
+    ids, lists = pdf["id"].to_numpy(), pdf["nbrs"].tolist()
+    sizes = np.fromiter(map(len, lists), np.int64, len(lists))
+    adj = np.full((len(ids), int(sizes.max())), -1, np.int64)
+    flat = np.concatenate([np.asarray(own, np.int64) for own in lists])
+    adj[np.repeat(np.arange(len(ids)), sizes), np.arange(len(flat)) - np.repeat(np.cumsum(sizes) - sizes, sizes)] = np.searchsorted(ids, flat)
+    return ids, np.stack(pdf["vec"].to_numpy()), adj
+
+
+def _search_shard(ids: np.ndarray, vecs: np.ndarray, adj: np.ndarray, shared, params: SearchParams, mode: str) -> pd.DataFrame:
+    qids, qvecs = shared.value
+    x = local.prepared(vecs, params.metric, params.dtype)
+    q = local.prepared(qvecs, params.metric, params.dtype)
+    if not adj.shape[1]:
+        found = local.Found(np.zeros((len(q), 1), np.int64), local.block_distances(q, x, params.metric), np.ones(len(q), np.int64), np.zeros(len(q), np.int64))
+    else:
+        search = local.search_team if mode == "team" else local.search_solo
+        found = search(x, adj, q, params, qids)
+    rows, col = np.nonzero(found.ids >= 0)
+    return pd.DataFrame({"qid": qids[rows], "nid": ids[found.ids[rows, col]], "dist": found.dist[rows, col], "n_dist": np.where(col == 0, found.n_dist[rows], 0), "rounds": found.rounds[rows]})
+
+
+def pack(index: DataFrame) -> DataFrame:
+    """An index of rows -> one row for each shard: its ids, vectors (float32) and neighbours (places, padded with -1) as bytes.
+
+    Written once, it is searched as often as wanted without a shuffle: a shard is read, as arrays, by the task that has its row. A row
+    must stay below 2 GB: ``SHARD_ROWS`` vectors of 96 dimensions with 32 neighbours each take 520 MB.
+    """
+    prepare(index.sparkSession)
+
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        qids, qvecs = shared.value
-        pdf = pdf.sort_values("id", kind="stable").reset_index(drop=True)
-        ids = pdf["id"].to_numpy()
-        x = local.prepared(np.stack(pdf["vec"].to_numpy()), params.metric, params.dtype)
-        q = local.prepared(qvecs, params.metric, params.dtype)
-        width = max(map(len, pdf["nbrs"]))
-        if not width:
-            found = local.Found(np.zeros((len(q), 1), np.int64), local.block_distances(q, x, params.metric), np.ones(len(q), np.int64), np.zeros(len(q), np.int64))
-        else:
-            adj = np.full((len(ids), width), -1, np.int64)
-            for i, own in enumerate(pdf["nbrs"]):
-                adj[i, : len(own)] = np.searchsorted(ids, np.asarray(own))
-            search = local.search_team if mode == "team" else local.search_solo
-            found = search(x, adj, q, params, qids)
-        rows, col = np.nonzero(found.ids >= 0)
-        return pd.DataFrame({"qid": qids[rows], "nid": ids[found.ids[rows, col]], "dist": found.dist[rows, col], "n_dist": np.where(col == 0, found.n_dist[rows], 0), "rounds": found.rounds[rows]})
+        ids, vecs, adj = _arrays(pdf)
+        return pd.DataFrame({"shard_id": [int(pdf["shard_id"].iloc[0])], "n": [len(ids)], "ids": [ids.astype("<i8").tobytes()], "vectors": [vecs.astype("<f4").tobytes()], "neighbours": [adj.astype("<i4").tobytes()]})
+
+    return index.select("shard_id", "id", "vec", "nbrs").groupBy("shard_id").applyInPandas(run, "shard_id int, n long, ids binary, vectors binary, neighbours binary")
+
+
+def _packed_searcher(shared, params: SearchParams, mode: str):
+    import pyarrow as pa
+
+    def run(batches):
+        for batch in batches:
+            for i in range(batch.num_rows):
+                n = batch.column(0)[i].as_py()
+                ids, vecs, adj = (np.frombuffer(batch.column(c)[i].as_buffer(), t) for c, t in ((1, "<i8"), (2, "<f4"), (3, "<i4")))
+                found = _search_shard(ids, vecs.reshape(n, -1), adj.astype(np.int64).reshape(n, -1) if len(adj) else np.zeros((n, 0), np.int64), shared, params, mode)
+                yield pa.RecordBatch.from_pandas(found, preserve_index=False)
 
     return run
 
 
+def _searcher(shared, params: SearchParams, mode: str):
+    return lambda pdf: _search_shard(*_arrays(pdf), shared, params, mode)
+
+
 def search(index: DataFrame, queries: DataFrame, params: SearchParams, *, mode: str = "auto", b_t: int | None = None, chunk: int = QUERY_CHUNK, probe: int | None = None, centres: np.ndarray | None = None, counters: bool = False) -> DataFrame:
-    """HIT rows from a built index. Queries go out in chunks of bounded size, one pass over the shards for each.
+    """HIT rows from a built index, of rows or packed. Queries go out in chunks of bounded size, one pass over the shards for each.
 
-    ``mode``: 'solo', 'team', or 'auto' by batch size and list length. ``probe`` with ``centres`` reads only shards that are among the nearest
+    ``mode``: 'solo', 'team', or 'auto' by batch size and list length; a team that the rule chooses divides the list among its walkers. ``probe`` with ``centres`` reads only shards that are among the nearest
     of some query. With ``counters`` each query's distance count and rounds come instead.
     """
     spark = prepare(index.sparkSession)
@@ -116,7 +155,11 @@ def search(index: DataFrame, queries: DataFrame, params: SearchParams, *, mode:
             near = local.smallest(local.block_distances(qvecs.astype(np.float64), centres, "sql2"), probe)[0]
             own = index.where(F.col("shard_id").isin(np.unique(near).tolist()))  # prunes partitions of a stored index
         shared = spark.sparkContext.broadcast((qids, qvecs))
-        found = own.groupBy("shard_id").applyInPandas(_searcher(shared, params, use), "qid long, nid long, dist double, n_dist long, rounds long")
+        own_params = replace(params, team_list=-(-max(params.M, params.k) // params.walkers)) if mode == "auto" and use == "team" and params.team_list is None else params
+        if "vectors" in own.columns:
+            found = own.select("n", "ids", "vectors", "neighbours").mapInArrow(_packed_searcher(shared, own_params, use), _FOUND)
+        else:
+            found = own.groupBy("shard_id").applyInPandas(_searcher(shared, own_params, use), _FOUND)
         hits = found if hits is None else hits.unionByName(found)
         last = int(qids[-1])
         if len(part) < chunk:
@@ -171,8 +214,3 @@ def search_exact(vecs: DataFrame, queries: DataFrame, k: int, metric: str = "l2"
         if len(part) < chunk:
             break
     return per_query(hits, k) if hits is not None else spark.createDataFrame([], "qid long, rnk int, nid long, dist double")
-
-
-def half_precision(params: SearchParams) -> SearchParams:
-    """The same search with vectors rounded to half precision; sums stay in double precision."""
-    return replace(params, dtype="fp16")
