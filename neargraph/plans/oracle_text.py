@@ -26,6 +26,18 @@ s AS (SELECT *, (row_number() OVER (PARTITION BY qid ORDER BY dist, nid))::INTEG
 SELECT qid, rnk, nid, round(dist, 6) AS dist FROM s WHERE rnk <= 10"""
 
 
+def near_pairs(r: float) -> str:
+    return f"WITH {V} SELECT q.id AS qid, v.id AS nid, round(list_distance(v.x, q.x), 6) AS dist FROM v, v q WHERE q.id % 10 = 0 AND v.id <> q.id AND list_distance(v.x, q.x) <= {r}"
+
+
+def distance_percentiles() -> str:
+    return f"""WITH {V}, {_hit_parts("l2", 10, 10)} SELECT rnk, {", ".join(f"round(quantile_cont(dist, {p / 100}), 6) AS p{p}" for p in (5, 50, 95, 99))} FROM hits GROUP BY rnk"""
+
+
+def config_map() -> str:
+    return """SELECT map_keys(m)[i] AS name, map_values(m)[i] AS value FROM (SELECT MAP {'M': '64', 'k': '10', 'merge': 'auto', 'metric': 'l2', 'p': '1', 'stop': 'exhausted', 'visited': 'full'} AS m), range(1, 8) t(i)"""
+
+
 def radius(r: float) -> str:
     return f"WITH {V} SELECT q.id AS qid, v.id AS nid, round(list_distance(v.x, q.x), 6) AS dist FROM v, v q WHERE q.id % 10 = 0 AND list_distance(v.x, q.x) <= {r}"
 
@@ -158,6 +170,29 @@ s AS (SELECT v.id AS qid, v.x AS y, j::INTEGER AS j, (v.id * 1000003 + j * 7919
 SELECT qid, j, nid, round(list_distance(y, x), 6) AS dist FROM s JOIN v ON v.id = nid"""
 
 
+def trace(M: int, k: int, d: int, degree: int, step: int, *, rounds: int, every: int = 0, unchanged: bool = False, counts: bool = False) -> str:
+    """The walk of one worker, round by round, on the graph of ``interleaved``. ``every``: rounds between forgetting; 0: never."""
+    seen = "list_concat(seen, new)" if not every else f"CASE WHEN (step + 1) % {every} = 0 THEN list_transform(merged, lambda e: e.i) ELSE list_concat(seen, new) END"
+    go = "len(list_filter(top, lambda e: NOT e.f)) > 0 AND (step = 0 OR NOT same)" if unchanged else "len(list_filter(top, lambda e: NOT e.f)) > 0"
+    out = "SELECT qid, sum(added)::BIGINT AS n_dist, max(step)::INTEGER AS rounds FROM walk GROUP BY qid"
+    if not counts:
+        out = f"""SELECT qid, (generate_subscripts(best, 1))::INTEGER AS rnk, unnest(list_transform(best, lambda e: e.i)) AS nid, round(unnest(list_transform(best, lambda e: e.d)), 6) AS dist
+FROM (SELECT qid, list_slice(arg_max(top, step), 1, {k}) AS best FROM walk GROUP BY qid)"""
+    return f"""WITH RECURSIVE {_base(degree)}, {_pruned("rank", d)}, {_interleaved(d)},
+adj AS (SELECT src, list(dst ORDER BY rank) AS nbrs FROM mixed GROUP BY src),
+xs AS (SELECT list(x ORDER BY id) AS xs, count(*) AS n FROM v),
+seeds AS (SELECT v.id AS qid, v.x AS y, list_distinct(list_transform(range(0, {d}), lambda j: (v.id * 1000003 + j * 7919 + 104729 + 12345) % 2147483647 * 48271 % 2147483647 % xs.n)) AS ids FROM v, xs WHERE v.id % {step} = 0),
+walk AS (
+  SELECT qid, y, 0 AS step, ids AS seen, len(ids) AS added, false AS same,
+    list_slice(list_sort(list_transform(ids, lambda u: {{'d': list_distance(xs.xs[u + 1], y), 'i': u, 'f': false}})), 1, {M}) AS top FROM seeds, xs
+  UNION ALL
+  SELECT qid, y, step + 1, {seen}, len(new), list_transform(merged, lambda e: e.i) = list_transform(top, lambda e: e.i), merged FROM (
+    SELECT *, list_slice(list_sort(list_concat(list_transform(top, lambda e: {{'d': e.d, 'i': e.i, 'f': e.f OR e.i = here}}), list_transform(new, lambda u: {{'d': list_distance(xs[u + 1], y), 'i': u, 'f': false}}))), 1, {M}) AS merged FROM (
+      SELECT w.*, here, xs, list_filter(nbrs, lambda u: NOT list_contains(seen, u)) AS new FROM
+        (SELECT *, list_filter(top, lambda e: NOT e.f)[1].i AS here FROM walk WHERE {go} AND step < {rounds}) w JOIN adj ON adj.src = w.here, xs)))
+{out}"""
+
+
 def merge_topm() -> str:
     return f"""WITH {V}, {_hit_parts("l2", 10, 16)},
 h AS (SELECT *, row_number() OVER (PARTITION BY qid, nid % 2 ORDER BY dist, nid) AS k FROM hits)

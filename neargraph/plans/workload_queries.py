@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 from collections.abc import Callable
+from dataclasses import replace
 
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -100,6 +101,23 @@ def q_filtered_knn_post(spark, sf_dir):
     return kept.groupBy("qid").agg(F.count("*").alias("found"), (F.lit(5) - F.count("*")).alias("short"))
 
 
+@query(sql.near_pairs(1.25))
+def q_near_pairs(spark, sf_dir):
+    """Other vectors within a distance of each query."""
+    v = _vecs(spark, sf_dir)
+    return rel.radius_join(v, _asked(v), 1.25).where("qid <> nid").select("qid", "nid", F.round("dist", 6).alias("dist"))
+
+
+@query()
+def q_descent_rounds(spark, sf_dir):
+    """Neighbour descent as one plan a round, over the whole table: share of exact neighbours found by rank."""
+    v = _vecs(spark, sf_dir)
+    found = rel.descent_edges(v, BASE, Scratch(spark, "descent"))
+    hits = found.select(F.col("src").alias("qid"), F.col("dst").alias("nid"))
+    truth = rel.knn_edges(v, BASE).select(F.col("src").alias("qid"), "rank", F.col("dst").alias("nid"))
+    return truth.join(hits.withColumn("hit", F.lit(1)), ["qid", "nid"], "left").groupBy("rank").agg((F.count("hit") / F.count("*")).alias("recall"))
+
+
 @query(sql.radius(1.0))
 def q_radius_join(spark, sf_dir):
     v = _vecs(spark, sf_dir)
@@ -204,7 +222,7 @@ def q_uniform_graph_kernel(spark, sf_dir):
 def q_nn_descent(spark, sf_dir):
     """Share of exact neighbours that neighbour descent finds, against 0.95."""
 
-    def study(ids, v):
+    def study(_, ids, v):
         from neargraph.operators import local
 
         x = local.prepared(v, "l2")
@@ -318,6 +336,71 @@ for _name, _mode, _options in (("q_search_solo_exhaustive", "solo", {"p": 16}),
     _QUERIES[_name], _SQL[_name] = _kernel_exact(_mode, **_options), sql.hits("l2", 50)
 
 
+#: A list much shorter than the graph, so that the walk decides what is found.
+TRACE = SearchParams(k=K, M=16)
+
+
+def _traced(counts: bool = False, **options):
+    """The kernel's walk over the relational graph, hits or counters."""
+
+    def run(spark, sf_dir):
+        v = _vecs(spark, sf_dir)
+        lists = rel.to_lists(rel.uniform_graph(_base(spark, sf_dir), D))
+        index = Scratch(spark, "traced").keep(v.join(lists, "id").select(F.lit(0).alias("shard_id"), "id", "vec", "nbrs"))
+        found = shard.search(index, _asked(v, 20), replace(TRACE, **options), mode="solo", counters=counts)
+        return found if counts else _rounded(found)
+
+    return run
+
+
+def _trace_sql(counts: bool = False, **options) -> str:
+    return sql.trace(TRACE.M, K, D, BASE, 20, rounds=TRACE.rounds, counts=counts, **options)
+
+
+_QUERIES |= {
+    "q_search_trace": _traced(), "q_search_trace_counts": _traced(True), "q_search_trace_unchanged": _traced(stop="unchanged"), "q_forget_reset": _traced(visited="forget", bits=13),
+    "q_forget_reset_counts": _traced(True, visited="forget", bits=13), "q_forget_every_third_counts": _traced(True, visited="forget", bits=13, every=3),
+}
+_SQL |= {
+    "q_search_trace": _trace_sql(), "q_search_trace_counts": _trace_sql(True), "q_search_trace_unchanged": _trace_sql(unchanged=True), "q_forget_reset": _trace_sql(every=1),
+    "q_forget_reset_counts": _trace_sql(True, every=1), "q_forget_every_third_counts": _trace_sql(True, every=3),
+}
+
+
+@query(_trace_sql())
+def q_search_trace_relational(spark, sf_dir):
+    """The same walk as one plan a round."""
+    v = _vecs(spark, sf_dir)
+    adj = Scratch(spark, "graph").keep(rel.to_lists(rel.uniform_graph(_base(spark, sf_dir), D)))
+    hits, _ = rel.search(v, adj, _asked(v, 20), TRACE, Scratch(spark, "walk"), n=v.count(), d=D)
+    return _rounded(hits)
+
+
+@query(_trace_sql())
+def q_search_trace_packed(spark, sf_dir):
+    """The same walk over an index of one packed row a shard, which a search reads without a shuffle."""
+    v = _vecs(spark, sf_dir)
+    lists = rel.to_lists(rel.uniform_graph(_base(spark, sf_dir), D))
+    index = shard.pack(v.join(lists, "id").select(F.lit(0).alias("shard_id"), "id", "vec", "nbrs"))
+    return _rounded(shard.search(Scratch(spark, "packed").keep(index), _asked(v, 20), TRACE, mode="solo"))
+
+
+@query(sql.distance_percentiles())
+def q_distance_percentiles(spark, sf_dir):
+    """Spread of the distances of the nearest, second, ... neighbour."""
+    v = _vecs(spark, sf_dir)
+    hits = rel.exact_knn(v, _asked(v), K)
+    return hits.groupBy("rnk").agg(*(F.round(F.percentile("dist", F.lit(p / 100)), 6).alias(f"p{p}") for p in (5, 50, 95, 99)))
+
+
+@query(sql.config_map())
+def q_config_map(spark, sf_dir):
+    """Settings of a search as a map, one row for each."""
+    names = ("M", "k", "merge", "metric", "p", "stop", "visited")
+    settings = F.create_map(*(x for name in names for x in (F.lit(name), F.lit(str(getattr(SearchParams(), name))))))
+    return spark.range(1).select(F.explode(settings).alias("name", "value"))
+
+
 def _recall_query(mode: str, shards: int = 1, least: float = 0.95, d: int = 16, **options):
     def run(spark, sf_dir):
         v = _vecs(spark, sf_dir)
@@ -629,12 +712,20 @@ def _documents(f, dim: int, **options):
 _QUERIES |= {
     "q_w_a1_reachability": _study(workloads.a1_reachability),
     "q_w_a1_reachability_d4": _study(workloads.a1_reachability, d=4),
+    "q_w_a1_reachability_documents": _documents(workloads.a1_reachability, 200),
     "q_w_a2_reorder_time": _study(workloads.a2_reorder_time),
+    "q_w_a2_reorder_time_documents": _documents(workloads.a2_reorder_time, 200),
+    "q_w_b1_lanes": lambda spark, sf_dir: workloads.b1_lanes(spark),
+    "q_w_b1_team_size": _study(workloads.b1_team_size),
+    "q_w_b1_team_size_documents": _documents(workloads.b1_team_size, 960, batch=1024, sizes=(1, 16, 64, 256, 1024)),
     "q_w_a3_reorder_quality": _study(workloads.a3_reorder_quality),
     "q_w_a3_reorder_quality_documents": _documents(workloads.a3_reorder_quality, 200),
     "q_w_b2_visited": _study(workloads.b2_visited),
+    "q_w_b2_visited_documents": _documents(workloads.b2_visited, 200),
     "q_w_b3_modes": _study(workloads.b3_modes),
+    "q_w_b3_modes_documents": _documents(workloads.b3_modes, 200, batch=1000),
     "q_w_c1_build_time": _study(workloads.c1_build_time),
+    "q_w_c1_build_time_documents": _documents(workloads.c1_build_time, 200),
     "q_w_c2_graph_quality": _study(workloads.c2_graph_quality),
     "q_w_c2_graph_quality_documents": _documents(workloads.c2_graph_quality, 256),
     "q_w_c3_large_batch": _study(workloads.c3_large_batch),
