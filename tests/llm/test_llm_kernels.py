@@ -153,8 +153,10 @@ def test_minimisers_and_run_hashes():
         assert suffix_dedup.run_hashes(h, length, suffix_dedup._BASES[0]).tolist() == want
     assert suffix_dedup.minimisers(h, 27).tolist() == sorted({i + int(np.argmin(h[i : i + 27])) for i in range(174)})
     keys, at = suffix_dedup.anchors(h, 50, 8, 24)
-    for s in range(151):  # each window holds a kept suffix not too far from its start
-        assert ((at >= s) & (at <= s + 26)).any()
+    at, low, high = suffix_dedup.unpacked(at)
+    for s in range(151):  # each window has a kept suffix of its own, not too far from its start
+        own = (at - high <= s) & (s <= at - low)
+        assert own.sum() == 1 and 0 <= at[own][0] - s <= 26
 
 
 def test_cut_text():
