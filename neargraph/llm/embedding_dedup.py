@@ -41,13 +41,13 @@ def _pivots(sample: pd.DataFrame, count: int, seed: int = 3) -> dict[int, np.nda
     rng = np.random.default_rng(seed)
     out = {}
     for label, part in sample.groupby("label", sort=True):
-        x = np.frombuffer(b"".join(part["vec"]), "<f8").reshape(len(part), -1) if part["vec"].map(len).nunique() == 1 else None
         k = min(len(part), max(1, round(count * len(part) / len(sample))))
-        if x is None or k == 1:
+        if k == 1:
             continue
+        x = _matrix(part["vec"])
         c = x[rng.permutation(len(x))[:k]]
         for _ in range(4):
-            near = (x @ c.T).argmax(axis=1)
+            near = np.concatenate([(x[at : at + 2048] @ c.T).argmax(axis=1) for at in range(0, len(x), 2048)])
             sums = np.zeros_like(c)
             np.add.at(sums, near, x)
             norm = np.linalg.norm(sums, axis=1, keepdims=True)
@@ -67,28 +67,22 @@ def _assign_batches(batches: Iterator[pa.RecordBatch], shared, overlap: int) ->
         for own in np.unique(labels):
             if (c := pivots.get(int(own))) is None:
                 continue
-            rows = np.flatnonzero(labels == own)
-            fit = np.array([len(vecs[i]) == 8 * c.shape[1] for i in rows])
-            rows = rows[fit]
-            if not len(rows):
-                continue
-            x = np.frombuffer(b"".join(vecs[i] for i in rows), "<f8").reshape(len(rows), -1)
+            mine = np.flatnonzero(labels == own)
             m = min(overlap, len(c))
-            s = x @ c.T
-            near = np.sort(np.argpartition(-s, m - 1, axis=1)[:, :m], axis=1) if m < len(c) else np.tile(np.arange(m), (len(rows), 1))
-            for i, n in zip(rows.tolist(), near.tolist(), strict=True):
-                lists[i] = n
+            for at in range(0, len(mine), 2048):
+                rows = mine[at : at + 2048]
+                s = np.frombuffer(b"".join(vecs[i] for i in rows), "<f8").reshape(len(rows), -1) @ -c.T
+                near = np.sort(np.argpartition(s, m - 1, axis=1)[:, :m], axis=1) if m < len(c) else np.tile(np.arange(m), (len(rows), 1))
+                for i, n in zip(rows.tolist(), near.tolist(), strict=True):
+                    lists[i] = n
         take = np.repeat(np.arange(len(labels)), [len(x) for x in lists])
         picked = [c.take(pa.array(take)) for c in (label, rep, mult, vec)]
         yield pa.RecordBatch.from_arrays([picked[0].cast(pa.int64()), pa.array([s for x in lists for s in x], pa.int32()), picked[1], picked[2], picked[3], pa.array([lists[i] for i in take], pa.list_(pa.int32()))], schema=schema)
 
 
 def _matrix(vecs: pd.Series) -> np.ndarray:
-    """Rows as a matrix; vectors of other lengths (cosine is not defined between them) are filled up and kept apart by an extra component."""
-    sizes = vecs.map(len)
-    if sizes.nunique() <= 1:
-        return np.frombuffer(b"".join(vecs), "<f8").reshape(len(vecs), -1)
-    return np.stack([np.pad(np.frombuffer(v, "<f8"), (0, int(sizes.max() - len(v)) // 8)) for v in vecs])
+    """Rows of one length as a matrix."""
+    return np.frombuffer(b"".join(vecs), "<f8").reshape(len(vecs), -1 if len(vecs) else 0)
 
 
 def robust_graph(x: np.ndarray, *, pool: int = POOL, random: int = RANDOM, degree: int = DEGREE, alpha: float = ALPHA, seed: int = 0) -> list[np.ndarray]:
@@ -248,7 +242,7 @@ def _audit_batches(batches: Iterator[pa.RecordBatch], shared, threshold: float)
     for batch in batches:
         label, rep, mult = (batch.column(i).to_numpy() for i in range(3))
         vecs = batch.column(3).to_pylist()
-        fit = np.flatnonzero([len(v) == 8 * x.shape[1] for v in vecs])
+        fit = np.flatnonzero([len(v) == 8 * x.shape[1] for v in vecs])  # another length has another label here
         if not len(fit):
             continue
         y = np.frombuffer(b"".join(vecs[i] for i in fit), "<f8").reshape(len(fit), -1)
@@ -340,7 +334,7 @@ def embedding_dedup(vectors: DataFrame, *, threshold: float = THRESHOLD, shard_r
     """``embeddings`` -> ``(vec_id, n_links, component_id, kept, audit_recall)``, one row for each input row.
 
     Two rows link if their labels are equal and not null and their cosine is ``threshold`` or more. Vectors that are null, empty, zero or hold
-    null or non-finite components, and rows without a label, have no links and are their own component. Rows without an
+    null or non-finite components, and rows without a label, have no links and are their own component; vectors of unequal lengths do not link. Rows without an
     id take no part: no links, null component, not kept. Equal vectors of a label count as one until the end. Rows that repeat an id count as
     vectors of their own in ``n_links``. An empty table gives an empty result.
     """
@@ -349,12 +343,14 @@ def embedding_dedup(vectors: DataFrame, *, threshold: float = THRESHOLD, shard_r
     raw = vectors.select(F.col("vec_id").cast("long").alias("vec_id"), F.col("label").cast("long").alias("label"), F.col("embedding").cast("array<double>").alias("embedding"))
     rows = raw.mapInArrow(_pack, "vec_id long, label long, vec binary")
     rows = scratch.keep(rows.withColumn("h1", F.xxhash64("vec")).withColumn("h2", F.xxhash64("vec", F.lit(1))))
-    valid = rows.where("vec_id is not null and label is not null and vec is not null")
+    # a label's vectors of another length are like another label's, as no cosine is defined between them
+    valid = rows.where("vec_id is not null and label is not null and vec is not null").withColumn("label", F.xxhash64("label", F.length("vec")))
     classes = scratch.keep(valid.groupBy("label", "h1", "h2").agg(F.min(F.struct("vec_id", "vec")).alias("x"), F.count("*").alias("mult")).select("label", F.col("x.vec_id").alias("rep"), "mult", F.col("x.vec").alias("vec"), "h1", "h2"))
     n = classes.count()
     sample = classes.select("label", "rep", "vec").orderBy(F.xxhash64("rep"), "rep").limit(SAMPLE_ROWS).toPandas()
     audit = sample.head(AUDIT_ROWS)
-    audit = audit[audit["vec"].map(len) == (len(audit["vec"].iloc[0]) if len(audit) else 0)]
+    sizes = audit["vec"].map(len)
+    audit = audit[sizes == sizes.mode().max()] if len(audit) else audit  # of several lengths the most common one
     truth = None
 
     def audited(links: DataFrame) -> float:
