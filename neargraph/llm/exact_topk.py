@@ -3,7 +3,8 @@
 Every partition turns its rows, block by block, into postings: for each term (component) the rows that hold it and their
 weights. A query is a sparse row; term by term its weight times the postings is scattered into a dense array of scores.
 Partition selection keeps the k best of a block, they are merged over the blocks of a task, and a window merges the tasks.
-Queries go to all tasks in chunks of a fixed number of rows, one pass over the data for each chunk.
+Queries go to all tasks in chunks of a bounded number of rows, one pass over the data for each chunk, whose hits are written
+before the next one begins: neither plan nor broadcasts grow with the number of chunks.
 """
 
 from __future__ import annotations
@@ -18,7 +19,7 @@ from pyspark.sql import functions as F
 from neargraph.runtime import Scratch
 
 #: Most queries sent out at a time: a broadcast of at most so many rows.
-QUERY_CHUNK = 4096
+QUERY_CHUNK = 16_384
 BLOCK_ROWS = 8192
 _HITS = "query_id long, vec_id long, score long"
 _SCHEMA = pa.schema([("query_id", pa.int64()), ("vec_id", pa.int64()), ("score", pa.int64())])
@@ -107,7 +108,8 @@ def topk(rows: DataFrame, queries: DataFrame, k: int = 5, *, chunk: int = QUERY_
     queries = queries.dropDuplicates(["vec_id"])
     chunks = max(1, -(-queries.count() // (chunk // 2)))
     numbered = scratch.keep(queries.withColumn("chunk", F.pmod(F.xxhash64("vec_id"), F.lit(chunks))))
-    hits: DataFrame | None = None
+    path = f"{scratch.base}/hits"
+    some = False
     for c in range(chunks):
         # about half the limit each; a chunk beyond the limit is taken in slices
         table = numbered.where(F.col("chunk") == c).select("vec_id", "weights").orderBy("vec_id")
@@ -118,13 +120,15 @@ def topk(rows: DataFrame, queries: DataFrame, k: int = 5, *, chunk: int = QUERY_
                 break
             ids = part.column(0).to_numpy()
             shared = spark.sparkContext.broadcast((ids, _matrix(part.column(1).combine_chunks())))
-            found = rows.mapInArrow(lambda it, s=shared: _search(it, s, k), _HITS)
-            hits = found if hits is None else hits.union(found)
+            rows.mapInArrow(lambda it, s=shared: _search(it, s, k), _HITS).write.mode("append").parquet(path)
+            shared.unpersist()
+            some = True
             last = int(ids[-1])
             if part.num_rows < chunk:
                 break
-    if hits is None:
+    if not some:
         return spark.createDataFrame([], "query_id long, rank int, vec_id long, score long")
+    hits = spark.read.schema(_HITS).parquet(path)
     place = F.row_number().over(Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id"))
     return hits.withColumn("rank", place).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 
