@@ -12,10 +12,10 @@ import re
 from collections.abc import Iterator
 
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from neargraph.llm.kernels import pieces, record
+from neargraph.llm.kernels import record
 from neargraph.runtime import Scratch, prepare
 
 # Element kinds of the HTML format.
@@ -25,16 +25,20 @@ BLOCK = {
     "address", "article", "aside", "blockquote", "body", "center", "dd", "details", "dialog", "dir", "div", "dl", "dt", "fieldset", "figcaption", "figure", "footer", "form", "h1", "h2", "h3", "h4", "h5", "h6",
     "header", "hgroup", "hr", "html", "li", "main", "menu", "nav", "ol", "p", "pre", "section", "summary", "table", "tbody", "td", "tfoot", "th", "thead", "tr", "ul", "caption", "head",
 }
-DROPPED = {"script", "style", "noscript", "template", "title", "head", "nav", "footer", "header", "aside", "form", "button", "select", "option", "input", "textarea", "iframe", "svg", "math", "object", "canvas", "audio", "video", "menu", "dialog", "label", "fieldset", "noframes", "noembed", "xmp", "map"}
+DROPPED = {"script", "style", "noscript", "template", "title", "head", "nav", "footer", "header", "aside", "form", "button", "select", "option", "input", "textarea", "iframe", "object", "canvas", "audio", "video", "menu", "dialog", "label", "fieldset", "noframes", "noembed", "xmp", "map"}
 CONTAINERS = {"html", "article", "main", "section", "div", "td", "body", "blockquote"}
 CLOSES_P = BLOCK - {"html", "head", "body"}
 ITEMS = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}}
 #: Words of class, id or role names that mark what does not belong to the article.
 NOISE = re.compile(
-    r"(?:^|[\s_-])(?:ads?|adv|advert\w*|adsense|adbox|adslot|banner|sponsor\w*|promo\w*|nav|navbar|navigation|menu|breadcrumbs?|sidebar|side-bar|aside|footer|foot|masthead|site-header|page-header|topbar|toolbar"
-    r"|comments?|comment-list|commentlist|respond|disqus|replies|reply|reader-comments|related|recommend\w*|share|sharing|social|cookies?|consent|gdpr|notice|notices|alert|popup|modal|overlay|newsletter|subscribe|signup|login|pagination|pager|widget|hidden|sr-only|copyright|legal|disclaimer|tags|skip-link)(?:$|[\s_-])",
+    r"(?:^|[\s_-])(?:ads?|adv|advert\w*|adsense|adbox|adslot|sponsor\w*|promo\w*|nav|navbar|navigation|menu|breadcrumbs?|sidebar|side-bar|aside|footer|masthead|site-header|page-header"
+    r"|comments?|comment-list|commentlist|respond|disqus|replies|reply|reader-comments|related|recommend\w*|share|sharing|social|cookies?|consent|gdpr|notice|notices|popup|newsletter|subscribe|signup|login|pagination|pager|hidden|sr-only|skip-link)(?:$|[\s_-])",
     re.IGNORECASE,
 )
+#: Words that mark it only outside an article, as articles use them for their own parts too.
+LOOSE_NOISE = re.compile(r"(?:^|[\s_-])(?:banner|foot|topbar|toolbar|alert|modal|overlay|widget|copyright|legal|disclaimer|tags)(?:$|[\s_-])", re.IGNORECASE)
+#: Containers beyond which a path is not made longer.
+PATH_DEPTH = 64
 _TAG = re.compile(r"<(?:!--.*?(?:--!?>|$)|!\[CDATA\[.*?(?:\]\]>|$)|[!?][^>]*(?:>|$)|(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)(?:>|$))", re.DOTALL)
 _ATTRIBUTE = re.compile(r"([^\s=\"'<>/]+)(?:\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+)))?")
 _RAW_END = {t: re.compile(rf"</{t}(?=[\s/>])[^>]*>?", re.IGNORECASE) for t in RAW}
@@ -43,11 +47,15 @@ _HOST = re.compile(r"^[a-zA-Z][\w+.-]*://(?:[^/@?#]*@)?([^/:?#]*)")
 
 
 class Node:
-    __slots__ = ("children", "noise", "parent", "path", "tag")
+    """An element. ``box`` is the innermost container at or above it, ``article`` the innermost article or main."""
 
-    def __init__(self, tag: str, parent: Node | None, path: str, noise: bool) -> None:
-        self.tag, self.parent, self.path, self.noise = tag, parent, path, noise
+    __slots__ = ("article", "box", "children", "depth", "noise", "parent", "path", "tag")
+
+    def __init__(self, tag: str, parent: Node | None, path: str, noise: bool, depth: int = 0) -> None:
+        self.tag, self.parent, self.path, self.noise, self.depth = tag, parent, path, noise, depth
         self.children: list[Node | str] = []
+        self.box = self if tag in CONTAINERS else parent.box if parent else None
+        self.article = self if tag in ("article", "main") else parent.article if parent else None
 
 
 def host_of(url: str | None) -> str:
@@ -63,10 +71,51 @@ def _generalise(names: str) -> str:
     return ".".join(kept[:3])
 
 
+class _Tree:
+    """The open elements: the innermost one, and how many of each tag there are, so that no search goes up in vain."""
+
+    def __init__(self) -> None:
+        self.root = self.node = Node("html", None, "html", False)
+        self.open: dict[str, int] = {}
+
+    def leave(self, node: Node) -> None:
+        """Closes an element and all that is open in it."""
+        while True:
+            here, self.node = self.node, self.node.parent
+            self.open[here.tag] -= 1
+            if here is node:
+                return
+
+    def enter(self, tag: str, attributes: str) -> None:
+        self.node = _open(self.node, tag, attributes)
+        self.open[tag] = self.open.get(tag, 0) + 1
+
+    def end(self, tag: str) -> None:
+        """An end tag; a stray one is passed over."""
+        if self.open.get(tag):
+            up = self.node
+            while up.tag != tag:
+                up = up.parent
+            self.leave(up)
+        elif tag == "p":
+            self.node.children.append(Node("p", self.node, self.node.path, self.node.noise))
+
+    def close_implied(self, tag: str) -> None:
+        """Leaves the paragraphs and items that the start of ``tag`` ends."""
+        closing = ITEMS.get(tag, set()) | ({"p"} if tag in CLOSES_P else set())
+        while any(map(self.open.get, closing)):
+            up = self.node
+            while up.parent is not None and up.tag not in closing and up.tag not in _SCOPE:
+                up = up.parent
+            if up.parent is None or up.tag not in closing:
+                return
+            self.leave(up)
+
+
 def parse(source: str) -> Node:
     """A forgiving tree: unclosed paragraphs and items end where HTML ends them; a stray end tag is passed over."""
-    root = Node("html", None, "html", False)
-    at, node, depth = 0, root, 0
+    tree = _Tree()
+    at = 0
     pos = source.find("<")
     while pos >= 0:
         m = _TAG.match(source, pos)
@@ -74,61 +123,35 @@ def parse(source: str) -> Node:
             pos = source.find("<", pos + 1)
             continue
         if pos > at:
-            node.children.append(source[at:pos])
+            tree.node.children.append(source[at:pos])
         at = m.end()
         tag = m[2].lower() if m[2] else ""
         if tag and m[1]:
-            up, steps = node, 0
-            while up is not None and up.tag != tag:
-                up, steps = up.parent, steps + 1
-            if up is not None and up.parent is not None:
-                node = up.parent
-                depth -= steps + 1
-            elif tag == "p":
-                node.children.append(Node("p", node, node.path, node.noise))
-        elif tag:
-            if tag in ("html", "body", "head") and tag != "body":
-                if tag == "head":
-                    node = _open(node, tag, m[3])
-                    depth += 1
+            tree.end(tag)
+        elif tag == "head":
+            tree.enter(tag, m[3])
+        elif tag and tag != "html":
+            if tag in CLOSES_P or tag in ITEMS:
+                tree.close_implied(tag)
+            if tree.node.tag == "head" and tag in BLOCK:
+                tree.leave(tree.node)
+            if tag in VOID or (m[3].rstrip().endswith("/") and tag in ("path", "circle", "rect")):
+                tree.node.children.append(Node(tag, tree.node, tree.node.path, tree.node.noise))
+            elif tag in RAW:
+                end = _RAW_END[tag].search(source, at)
+                at = end.end() if end else len(source)
             else:
-                if tag in CLOSES_P or tag in ITEMS:
-                    node, depth = _close_implied(node, tag, depth)
-                if node.tag == "head" and tag in BLOCK:
-                    node, depth = node.parent, depth - 1
-                if tag in VOID or depth > 400 or (m[3].rstrip().endswith("/") and tag in ("path", "circle", "rect")):
-                    node.children.append(Node(tag, node, node.path, node.noise))
-                elif tag in RAW:
-                    end = _RAW_END[tag].search(source, at)
-                    at = end.end() if end else len(source)
-                else:
-                    node = _open(node, tag, m[3])
-                    depth += 1
+                tree.enter(tag, m[3])
         pos = source.find("<", at)
     if at < len(source):
-        node.children.append(source[at:])
-    return root
+        tree.node.children.append(source[at:])
+    return tree.root
 
 
 #: Elements beyond which no open paragraph or item is looked for.
 _SCOPE = {"table", "ul", "ol", "dl", "td", "th", "tr", "article", "body", "button", "div", "section", "main", "li", "dd", "dt", "blockquote"}
 
 
-def _close_implied(node: Node, tag: str, depth: int) -> tuple[Node, int]:
-    """Leaves the paragraphs and items that the start of ``tag`` ends."""
-    closing = ITEMS.get(tag, set())
-    up, steps = node, 0
-    while up.parent is not None:
-        if up.tag in closing or (up.tag == "p" and tag in CLOSES_P):
-            node, depth = up.parent, depth - steps - 1
-            up, steps = node, 0
-            continue
-        if up.tag in _SCOPE:
-            break
-        up, steps = up.parent, steps + 1
-    return node, depth
-
-
 def _open(node: Node, tag: str, attributes: str) -> Node:
     noise, names = node.noise or tag in DROPPED, ""
     if tag == "header" and node.tag in ("article", "main"):
@@ -137,12 +160,15 @@ def _open(node: Node, tag: str, attributes: str) -> Node:
         values = {m[1].lower(): m[2] or m[3] or m[4] or "" for m in _ATTRIBUTE.finditer(attributes)}
         names = values.get("class", "")
         marks = f"{names} {values.get('id', '')} {values.get('role', '')}"
-        if tag not in ("article", "main", "body", "html") and NOISE.search(marks):
+        if tag not in ("article", "main", "body", "html") and (NOISE.search(marks) or (node.article is None and LOOSE_NOISE.search(marks))):
             noise = True
         if "hidden" in values or values.get("aria-hidden") == "true" or "display:none" in values.get("style", "").replace(" ", ""):
             noise = True
-    general = _generalise(names)
-    child = Node(tag, node, f"{node.path}>{tag}{'.' + general if general else ''}" if tag in CONTAINERS else node.path, noise)
+    path, depth = node.path, node.depth
+    if tag in CONTAINERS and depth < PATH_DEPTH:
+        general = _generalise(names)
+        path, depth = f"{path}>{tag}{'.' + general if general else ''}", depth + 1
+    child = Node(tag, node, path, noise, depth)
     node.children.append(child)
     return child
 
@@ -181,7 +207,10 @@ def blocks(node: Node) -> list[str]:
 
 
 def best_container(root: Node) -> Node | None:
-    """The container with the most running text of its own paragraphs: text, less what stands in links, a share of it handed up."""
+    """The container with the most running text of its own paragraphs: text, less what stands in links, a share of it handed up.
+
+    A container inside an article stands for the whole article, so that its title and short sections are not lost.
+    """
     scores: dict[int, list] = {}
     todo: list[tuple[Node, bool]] = [(root, False)]
     while todo:
@@ -196,19 +225,16 @@ def best_container(root: Node) -> Node | None:
             else:
                 todo.append((child, linked))
         if own:
-            up, share = node, 1.0
-            while up is not None and up.tag not in CONTAINERS:
-                up = up.parent
+            up, share = node.box, 1.0
             while up is not None and share > 0.2:
                 entry = scores.setdefault(id(up), [up, 0.0])
                 entry[1] += own * share * (1.25 if up.tag in ("article", "main") else 1.0)
                 share *= 0.7
-                up = up.parent
-                while up is not None and up.tag not in CONTAINERS:
-                    up = up.parent
+                up = up.parent.box if up.parent else None
     if not scores:
         return None
-    return max(scores.values(), key=lambda e: e[1])[0]
+    best = max(scores.values(), key=lambda e: e[1])[0]
+    return best.article or best
 
 
 def find_path(root: Node, path: str) -> list[Node]:
@@ -243,14 +269,6 @@ def extract(source: str | None, paths: list[str]) -> str:
     return "\n\n".join(blocks(best)) if best is not None else ""
 
 
-_VOTES = pa.schema([("page_id", pa.int64()), ("path", pa.string())])
-
-
-def _vote_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    for ids, texts in pieces(batches):
-        yield record(_VOTES, ids, [vote(t) for t in texts])
-
-
 def _host_votes(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     schema = pa.schema([("host", pa.string()), ("path", pa.string()), ("n", pa.int64())])
     counts: dict[tuple[str, str], int] = {}
@@ -276,10 +294,13 @@ def host_paths(pages: DataFrame, *, keep: int = 3, least_share: float = 0.2) ->
     prepare(pages.sparkSession)
     votes = pages.select(F.col("url").cast("string").alias("url"), F.col("html").cast("string").alias("html")).mapInArrow(_host_votes, "host string, path string, n long")
     counted = votes.groupBy("host", "path").agg(F.sum("n").alias("n"))
-    # a host has as many rows here as its pages have different generalised paths
-    ranked = counted.groupBy("host").agg(F.sum("n").alias("all"), F.collect_list(F.struct((-F.col("n")).alias("k"), "path")).alias("rows"))
-    chosen = F.filter(F.slice(F.array_sort("rows"), 1, keep), lambda r: -r["k"] >= F.col("all") * least_share)
-    return ranked.select("host", F.transform(chosen, lambda r: r["path"]).alias("paths"))
+    counted = Scratch(pages.sparkSession, "votes").keep(counted)
+    # each host's best paths are picked before the rows are shuffled, so a host with many different paths costs no task more
+    place = F.row_number().over(Window.partitionBy("host").orderBy(F.desc("n"), "path"))
+    best = counted.withColumn("place", place).where(F.col("place") <= keep)
+    whole = counted.groupBy("host").agg(F.sum("n").alias("all"))
+    fair = best.join(whole, "host").where(F.col("n") >= F.col("all") * least_share)
+    return fair.groupBy("host").agg(F.transform(F.array_sort(F.collect_list(F.struct("place", "path"))), lambda r: r["path"]).alias("paths"))
 
 
 def _extract_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -298,7 +319,7 @@ def extract_pages(pages: DataFrame) -> DataFrame:
     """``pages`` -> ``(page_id, url, text, n_chars)``, one row for each page.
 
     A null or empty page gives ''. A null or odd URL belongs to the host ''. Repeated pages come back as often as they came
-    and vote as often. Blocks are joined by an empty line, white space inside a block becomes one space, and character references are decoded.
+    and vote as often; on a tie of paths the smaller one wins. Blocks are joined by an empty line, white space inside a block becomes one space, and character references are decoded.
     """
     spark = prepare(pages.sparkSession)
     rows = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.col("html").cast("string").alias("html"))
