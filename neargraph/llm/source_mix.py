@@ -110,20 +110,20 @@ def mix(docs: DataFrame, *, seed: int = 7, weights=WEIGHTS, share: float = SHARE
 
     ``taken`` counts the words that the mix takes of a document, repeats counted: whole copies, but for one document of each
     source, which gives the words that remain. Null texts have size 0 and are never taken; a null source is a source of its
-    own, last in order; repeated rows are dealt with each by itself. Draws depend on ids and the seed alone, so reruns
+    own, last in order; repeated rows are dealt with each by itself. Draws depend on ids, texts and the seed alone, so reruns
     agree. An empty table gives an empty result. Other columns than doc_id, text and source are not read.
     """
     spark = docs.sparkSession
     scratch = Scratch(spark, "mix")
-    sized = scratch.keep(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("source").cast("string").alias("source"), word_count(F.col("text")).alias("size")))
+    sized = scratch.keep(docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("source").cast("string").alias("source"), word_count(F.col("text")).alias("size"), F.xxhash64("text").alias("text_hash")))
     targets = scratch.keep(source_targets(sized, scratch, weights=weights, share=share, ceiling=ceiling))
     most = targets.agg(F.max("n_docs")).first()[0] or 0
     small = targets.select(F.col("source").alias("s"), "source_size", "target", "n_docs")
     rate = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(0.0)
-    row_key = F.xxhash64("doc_id", F.lit(seed))
+    row_key = F.xxhash64("doc_id", "text_hash", F.lit(seed))  # rows without an id differ by their texts
     rows = sized.join(small, sized.source.eqNullSafe(small.s)).withColumn("rate", rate)
     groups = F.greatest(F.lit(1), F.ceil(F.col("n_docs") / group_rows)).cast("long")
-    rows = rows.select("source", "doc_id", row_key.alias("row_key"), "size", F.floor("rate").cast("long").alias("copies"), ((F.col("rate") - F.floor("rate")) * F.col("size")).alias("mass"), F.pmod(F.xxhash64("doc_id", F.lit(seed + 1)), groups).alias("bucket"), F.lit(False).alias("settled"))
+    rows = rows.select("source", "doc_id", row_key.alias("row_key"), "size", F.floor("rate").cast("long").alias("copies"), ((F.col("rate") - F.floor("rate")) * F.col("size")).alias("mass"), F.pmod(F.xxhash64("doc_id", "text_hash", F.lit(seed + 1)), groups).alias("bucket"), F.lit(False).alias("settled"))
     done: list[DataFrame] = []
     left, width, level = rows, max(1, -(-most // group_rows)), 0
     while True:
@@ -151,7 +151,8 @@ def apply_mix(docs: DataFrame, **options) -> DataFrame:
     joined = docs.join(taken, docs.doc_id == taken.mix_id)
     whole = F.floor(F.col("mix_taken") / F.col("mix_size")).cast("int")
     rest = F.col("mix_taken") - whole * F.col("mix_size")
-    part = F.array_join(F.slice(F.regexp_extract_all("text", F.lit(WORD), F.lit(0)), 1, F.col("mix_rest").cast("int")), " ")
+    # words with the white space before them, so that the part is a prefix of the text
+    part = F.array_join(F.slice(F.regexp_extract_all("text", F.lit(rf"[\x20\x09-\x0D]*{WORD}"), F.lit(0)), 1, F.col("mix_rest").cast("int")), "")
     rows = joined.withColumn("mix_rest", rest).withColumn("mix_copy", F.explode(F.sequence(F.lit(1), whole + F.when(rest > 0, 1).otherwise(0))))
     cut = F.col("mix_copy") > whole
     rows = rows.withColumn("text", F.when(cut, part).otherwise(F.col("text"))).withColumn("n_chars", F.when(cut, F.length("text").cast("long")).otherwise(F.col("n_chars")))
