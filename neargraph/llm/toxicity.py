@@ -1,8 +1,8 @@
 """Toxicity by a bidirectional gated recurrent network with attention pooling, trained and run in numpy.
 
-Input of a word: an embedding of its hash beside the mean of the embeddings of its hashed character n-grams. Both tables
-are fixed features and are not trained: one column is how much more often toxic texts of the training sample hold the word or n-gram,
-the others are random. Texts are cut into overlapping windows; two gated
+Input of a word: an embedding of its hash beside the mean of the embeddings of its hashed character n-grams. One column of both
+tables is counted, not trained: how much more often toxic texts of the training sample hold the word or n-gram (of n-grams the
+greatest); the other columns start at random and are trained with the network. Texts are cut into overlapping windows; two gated
 recurrent layers run over a window, one each way; attention pools their states; a text scores as its worst window does.
 Everything that depends on a word alone is computed once for each distinct word of a worker.
 """
@@ -43,7 +43,7 @@ def words_of(text: str | None) -> list[str]:
 
 
 def char_grams(word: str) -> list[int]:
-    """Buckets of the 3- to 5-grams of a word with its ends marked; long words keep all of them."""
+    """Buckets of the runs of 3 to 6 bytes of a word with its ends marked; long words keep all of them."""
     marked = f"<{word}>".encode("utf-8", "surrogatepass")
     return [zlib.crc32(marked[i : i + n]) % CHAR_BUCKETS for n in (3, 4, 5, 6) for i in range(len(marked) - n + 1)] or [0]
 
@@ -164,6 +164,13 @@ def _backward(p: dict, mask: np.ndarray, traced, dlogit: np.ndarray) -> tuple[di
     return grad, dgates
 
 
+def _grams_of(words: np.ndarray, flat: np.ndarray, ends: np.ndarray, counts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """n-gram buckets of some words in a row, and the place of the word that each belongs to."""
+    count = counts[words].astype(np.int64)
+    of = np.repeat(np.arange(len(words)), count)
+    return flat[np.arange(len(of)) + np.repeat(ends[words] - counts[words] - (np.cumsum(count) - count), count)], of
+
+
 def _log_odds(buckets: list[np.ndarray], labels: np.ndarray, size: int) -> np.ndarray:
     """How much more often positive texts hold a bucket, in logarithms, shrunk towards 0 where there is little to go by."""
     up, down = np.zeros(size), np.zeros(size)
@@ -175,7 +182,7 @@ def _log_odds(buckets: list[np.ndarray], labels: np.ndarray, size: int) -> np.nd
     return np.log(((up + p1) / n1) / ((down + p0) / n0)).astype(np.float32)
 
 
-def fit(texts: list[str | None], labels: list[int], *, seed: int = 11, rounds: int = 2, epochs: int = 3, batch: int = 256, rate: float = 0.01) -> Model:
+def fit(texts: list[str | None], labels: list[int], *, seed: int = 11, rounds: int = 2, epochs: int = 3, batch: int = 256, rate: float = 0.01, table_rate: float = 0.002) -> Model:
     """Fits on whole texts with one label each: a positive text is taught by its worst window, a negative one by its worst and one more."""
     rng = np.random.default_rng(seed)
     y = np.asarray(labels, np.int64)
@@ -210,7 +217,29 @@ def fit(texts: list[str | None], labels: list[int], *, seed: int = 11, rounds: i
             windows.append(row), of.append(d)
     windows, of = np.array(windows), np.array(of)
     score = (x[:, 0] + x[:, WORD_DIM])[windows].max(axis=1)
-    flat = {k: (np.zeros_like(v), np.zeros_like(v)) for k, v in model.p.items()}
+    trained = model.p | {"word": model.word[:, 1:], "char": model.char[:, 1:]}  # the tables as views
+    flat = {k: (np.zeros_like(v), np.zeros_like(v)) for k, v in trained.items()}
+
+    def refreshed(rows: np.ndarray) -> np.ndarray:
+        """Inputs as the tables stand now; row 0 is padding."""
+        out, w = x[rows], (rows - 1) % (len(words) + 1)
+        real = np.flatnonzero(rows > 0)
+        part = w[real]
+        out[real, 1:WORD_DIM] = model.word[buckets[part], 1:]
+        grams, of_word = _grams_of(part, flat_grams, ends, counts)
+        for c in range(1, CHAR_DIM):
+            out[real, WORD_DIM + c] = np.bincount(of_word, weights=model.char[grams, c], minlength=len(part)) / counts[part]
+        return out
+
+    def table_gradients(rows: np.ndarray, dx: np.ndarray) -> dict[str, np.ndarray]:
+        real = rows > 0
+        part, dx = (rows[real] - 1) % (len(words) + 1), dx[real]
+        grams, of_word = _grams_of(part, flat_grams, ends, counts)
+        share = dx[:, WORD_DIM + 1 :] / counts[part, None]
+        to_words = [np.bincount(buckets[part], weights=dx[:, c], minlength=WORD_BUCKETS) for c in range(1, WORD_DIM)]
+        to_grams = [np.bincount(grams, weights=share[of_word, c], minlength=CHAR_BUCKETS) for c in range(CHAR_DIM - 1)]
+        return {"word": np.stack(to_words, axis=1).astype(np.float32), "char": np.stack(to_grams, axis=1).astype(np.float32)}
+
     step = 0
     for _ in range(rounds):
         order = np.lexsort((-score, of))
@@ -230,7 +259,8 @@ def fit(texts: list[str | None], labels: list[int], *, seed: int = 11, rounds: i
                 pick = mixed[at : at + size]
                 index = windows[chosen[pick]]
                 mask = index != 0
-                xs = x[index]
+                used, spot = np.unique(index, return_inverse=True)
+                xs = refreshed(used)[spot.reshape(index.shape)]
                 gates = np.concatenate([xs @ model.p["Wf"] + model.p["bf"], xs @ model.p["Wb"] + model.p["bb"]], axis=2)
                 traced = _forward(model.p, lambda t, g=gates: g[:, t], mask, trace=True)
                 delta = ((_sigmoid(traced[0]) - target[pick]) * weight[pick] / len(pick)).astype(np.float32)
@@ -240,16 +270,20 @@ def fit(texts: list[str | None], labels: list[int], *, seed: int = 11, rounds: i
                     part = dg[:, :, d * h3 : (d + 1) * h3]
                     grad[f"W{name}"] = np.einsum("ntx,ntg->xg", xs, part)
                     grad[f"b{name}"] = part.sum(axis=(0, 1))
+                dxs = (dg[:, :, :h3] @ model.p["Wf"].T + dg[:, :, h3:] @ model.p["Wb"].T).reshape(-1, WORD_DIM + CHAR_DIM)
+                dx = np.stack([np.bincount(spot.ravel(), weights=dxs[:, c], minlength=len(used)) for c in range(dxs.shape[1])], axis=1)
+                if table_rate:
+                    grad |= table_gradients(used, dx)
                 step += 1
                 for k, g in grad.items():
                     m, v = flat[k]
                     m += 0.1 * (g - m)
                     v += 0.01 * (g * g - v)
-                    model.p[k] -= (rate * m / (1 - 0.9**step) / (np.sqrt(v / (1 - 0.99**step)) + 1e-8)).astype(np.float32)
+                    trained[k] -= ((table_rate if k in ("word", "char") else rate) * m / (1 - 0.9**step) / (np.sqrt(v / (1 - 0.99**step)) + 1e-8)).astype(np.float32)
         score = np.empty(len(windows), np.float32)
         for f in range(FOLDS):  # one fold's gate inputs at a time
             low = f * (len(words) + 1)
-            gates = model.project(x[low : low + len(words) + 1])
+            gates = model.project(refreshed(np.r_[0, np.arange(low + 1, low + len(words) + 1)]))
             part = np.flatnonzero(of % FOLDS == f)
             for at in range(0, len(part), 512):
                 score[part[at : at + 512]] = model.logits(gates, np.maximum(windows[part[at : at + 512]] - low, 0))
