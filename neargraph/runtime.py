@@ -43,7 +43,8 @@ def work_dir(spark: SparkSession) -> str:
 class Scratch:
     """Tables written to the shared folder, so that a lost executor costs a re-read and no lineage.
 
-    ``keep`` writes a frame as Parquet and reads it again; ``drop`` deletes tables that nothing needs any longer.
+    ``keep`` writes a frame as Parquet and reads it again; ``drop`` deletes tables that nothing needs any longer. What is left goes when
+    the driver ends, as a result may read its tables until then.
     """
 
     def __init__(self, spark: SparkSession, name: str) -> None:
@@ -58,17 +59,24 @@ class Scratch:
         if names := list(partition_by):
             writer = writer.partitionBy(*names)
         writer.parquet(path)
+        if self._made == 1:
+            base = self._path(self.base)
+            base.getFileSystem(self._conf()).deleteOnExit(base)
         schema = df.schema
         out = self.spark.read.schema(schema).parquet(path)
         out._neargraph_path = path  # type: ignore[attr-defined]
         return out
 
     def drop(self, *tables: DataFrame) -> None:
-        jvm = self.spark._jvm
-        conf = self.spark.sparkContext._jsc.hadoopConfiguration()
         for table in tables:
-            path = jvm.org.apache.hadoop.fs.Path(table._neargraph_path)  # type: ignore[attr-defined]
-            path.getFileSystem(conf).delete(path, True)
+            path = self._path(table._neargraph_path)  # type: ignore[attr-defined]
+            path.getFileSystem(self._conf()).delete(path, True)
+
+    def _path(self, name: str):
+        return self.spark._jvm.org.apache.hadoop.fs.Path(name)
+
+    def _conf(self):
+        return self.spark.sparkContext._jsc.hadoopConfiguration()
 
 
 def shuffle_partitions(spark: SparkSession) -> int:
