@@ -520,7 +520,7 @@ def search_solo(x: np.ndarray, adj: np.ndarray, q: np.ndarray, params: SearchPar
     k, M, p = params.k, params.M, params.p
     count = len(q)
     qids = np.arange(count) if qids is None else np.asarray(qids)
-    if count <= FEW_QUERIES and p == 1 and params.visited == "full" and params.stop == "exhausted":
+    if count <= FEW_QUERIES and p == 1 and params.visited == "full" and params.stop == "exhausted" and params.expanded == "flag":
         return _walk_few(x, adj, q, params, qids)
     if count > (most := params.in_step):  # slices, whose lists and gathered vectors stay in a core's cache
         return joined([search_solo(x, adj, q[at : at + most], params, qids[at : at + most]) for at in range(0, count, most)])
@@ -530,6 +530,7 @@ def search_solo(x: np.ndarray, adj: np.ndarray, q: np.ndarray, params: SearchPar
     elif params.visited == "full":
         seen = full_set(count, n, table_size(params.rounds, p, d))
     ids, dist, flag = np.full((count, M), -1, np.int64), np.full((count, M), np.inf), np.zeros((count, M), bool)
+    parents = SeenMap(count, n) if params.expanded == "table" else None
     cand = seed_nodes(qids, p * d, params.seed, n)
     n_dist, rounds = np.zeros(count, np.int64), np.zeros(count, np.int64)
     active = np.arange(count)
@@ -539,6 +540,8 @@ def search_solo(x: np.ndarray, adj: np.ndarray, q: np.ndarray, params: SearchPar
         n_dist[active] += fresh.sum(axis=1)
         before = ids[active]
         ids[active], dist[active], flag[active] = merge_top(ids[active], dist[active], flag[active], np.where(fresh, cand, -1), cd, M, params.merge)
+        if parents is not None:  # what has been expanded is looked up, not carried along with the list
+            flag[active] = parents.seen[active[:, None], np.maximum(ids[active], 0)] & (ids[active] >= 0)
         rounds[active] = step
         if step == params.rounds:
             break
@@ -557,6 +560,9 @@ def search_solo(x: np.ndarray, adj: np.ndarray, q: np.ndarray, params: SearchPar
         flag[active] |= chosen
         place = np.argsort(~chosen, axis=1, kind="stable")[:, :p]
         nodes = np.where(np.take_along_axis(chosen, place, 1), np.take_along_axis(ids[active], place, 1), -1)
+        if parents is not None:
+            row, col = np.nonzero(nodes >= 0)
+            parents.insert(active[row], nodes[row, col])
         cand = np.where(nodes[:, :, None] >= 0, adj[np.maximum(nodes, 0)], -1).reshape(len(active), -1)
     extra = {} if seen is None else {"collisions": seen.collisions, "overflows": seen.overflows, "resets": seen.resets}
     return Found(ids[:, :k], dist[:, :k], n_dist, rounds, extra)

@@ -30,13 +30,14 @@ class SearchParams:
     walkers: int = 4
     team_list: int | None = None  # entries of each walker's list; None: M
     sharing: str = "superstep"
+    expanded: str = "flag"  # beside each list entry, or 'table': a set of its own that is looked up
     in_step: int = 256  # queries of a batch that a core advances together
 
     def __post_init__(self) -> None:
         if self.M < self.k or (self.team_list is not None and self.team_list * self.walkers < self.k):
             raise ValueError("the list must hold at least k entries")
-        if self.stop not in ("exhausted", "unchanged") or self.visited not in ("full", "forget", "none"):
-            raise ValueError("unknown stop rule or visited set")
+        if self.stop not in ("exhausted", "unchanged") or self.visited not in ("full", "forget", "none") or self.expanded not in ("flag", "table"):
+            raise ValueError("unknown stop rule, visited set or place of the expanded nodes")
 
     @property
     def rounds(self) -> int:

@@ -358,11 +358,11 @@ def _trace_sql(counts: bool = False, **options) -> str:
 
 
 _QUERIES |= {
-    "q_search_trace": _traced(), "q_search_trace_counts": _traced(True), "q_search_trace_unchanged": _traced(stop="unchanged"), "q_forget_reset": _traced(visited="forget", bits=13),
+    "q_search_trace": _traced(), "q_search_trace_counts": _traced(True), "q_search_trace_unchanged": _traced(stop="unchanged"), "q_search_trace_table": _traced(expanded="table"), "q_search_trace_table_counts": _traced(True, expanded="table"), "q_forget_reset": _traced(visited="forget", bits=13),
     "q_forget_reset_counts": _traced(True, visited="forget", bits=13), "q_forget_every_third_counts": _traced(True, visited="forget", bits=13, every=3),
 }
 _SQL |= {
-    "q_search_trace": _trace_sql(), "q_search_trace_counts": _trace_sql(True), "q_search_trace_unchanged": _trace_sql(unchanged=True), "q_forget_reset": _trace_sql(every=1),
+    "q_search_trace": _trace_sql(), "q_search_trace_counts": _trace_sql(True), "q_search_trace_unchanged": _trace_sql(unchanged=True), "q_search_trace_table": _trace_sql(), "q_search_trace_table_counts": _trace_sql(True), "q_forget_reset": _trace_sql(every=1),
     "q_forget_reset_counts": _trace_sql(True, every=1), "q_forget_every_third_counts": _trace_sql(True, every=3),
 }
 

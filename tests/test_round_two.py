@@ -63,6 +63,28 @@ def test_a_short_list_for_each_walker_keeps_recall(x, graph):
     assert team.rounds.mean() < solo.rounds.mean() / 2
 
 
+@pytest.mark.parametrize("options", [{}, {"p": 3}, {"visited": "forget", "bits": 12}, {"stop": "unchanged"}])
+def test_expanded_nodes_beside_the_list_or_in_a_table(x, graph, options):
+    a, b = (local.search_solo(x, graph, x[:60], SearchParams(k=10, M=24, expanded=where, **options), np.arange(60)) for where in ("flag", "table"))
+    assert (a.ids == b.ids).all() and (a.n_dist == b.n_dist).all() and (a.rounds == b.rounds).all()
+
+
+@pytest.mark.parametrize("kind", ["float", "int", "byte"])
+def test_vector_files_are_read_in_ranges(spark, tmp_path, kind):
+    from neargraph.sources import fvecs
+
+    data = np.random.default_rng(2).integers(0, 200, (1000, 7)).astype("f4") + (0.5 if kind == "float" else 0)
+    fvecs.write(data, str(tmp_path / "v.vecs"), kind)
+    spark.dataSource.register(fvecs.VectorFiles)
+    df = spark.read.format("vector_files").option("path", str(tmp_path / "v.vecs")).option("kind", kind).option("rows_per_task", 300).option("first_id", 5).load()
+    assert df.rdd.getNumPartitions() == 4
+    rows = df.orderBy("id").collect()
+    assert [r.id for r in rows] == list(range(5, 1005)) and np.array_equal(np.array([r.vec for r in rows], "f4"), data)
+    with pytest.raises(Exception, match="whole vectors"):
+        (tmp_path / "bad").write_bytes((tmp_path / "v.vecs").read_bytes()[:-1])
+        spark.read.format("vector_files").option("path", str(tmp_path / "bad")).option("kind", kind).load().count()
+
+
 def test_packed_shards_are_searched_without_a_shuffle(spark, vecs):
     index = shard.build(shard.assign(vecs, 3), 8, base="exact")
     packed = Scratch(spark, "test").keep(shard.pack(index))
