@@ -12,8 +12,15 @@ from pyspark.sql import DataFrame, SparkSession
 _ROOT = os.path.dirname(os.path.dirname(os.path.abspath(__file__)))
 
 
+#: Bytes of a batch between the JVM and Python. Spark's own bound of 64 MB is held several times over for each task on both sides.
+BATCH_BYTES = 4 << 20
+
+
 def prepare(spark: SparkSession) -> SparkSession:
-    """Let Python workers of this session import this package whatever their working folder is."""
+    """Let Python workers of this session import this package whatever their working folder is, and hand them batches of ``BATCH_BYTES``."""
+    known = spark.conf.get("spark.sql.execution.arrow.maxBytesPerBatch", None)
+    if known is not None and (not known.rstrip("b").isdigit() or int(known.rstrip("b")) > BATCH_BYTES):
+        spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(BATCH_BYTES))
     environment = spark.sparkContext.environment
     known = environment.get("PYTHONPATH", "")
     if _ROOT not in known.split(os.pathsep):
