@@ -17,7 +17,11 @@ COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that the toxicity model rejects go; all others stay as they are."""
+    """Documents that the toxicity model rejects go; all others stay as they are.
+
+    Null, empty and wordless texts score near 0 and stay; rows without an id and repeated rows are judged by their text like others. Without
+    labels of both classes nothing is rejected. An empty table gives an empty one.
+    """
     labels = spark.read.parquet(f"{sf_dir}/labels.parquet")
     scored = toxicity.annotate(docs.select(*COLUMNS), labels)
     return scored.where("predicted = 0").select(*COLUMNS)
@@ -55,18 +59,26 @@ def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataF
 def cut_repeats(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Passages that stand in an earlier place already are cut; a document that is nothing else goes.
 
-    Documents without an id come after all others; rows that share an id, or have none, are in order of their content's hash.
+    Documents without an id come after all others; rows that share an id, or have none, are in order of their content's hash. Null, empty
+    and short texts stay as they are. An empty table gives an empty one.
     """
     return by_row(docs, suffix_dedup.cut_repeats)
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """The mix by source: a document stands in it as often as it is taken, each row by itself, with an id, a repeated one or none."""
+    """The mix by source: a document stands in it as often as it is taken, each row by itself, with an id, a repeated one or none.
+
+    Null, empty and wordless texts have size 0 and are not taken; a null source is a source of its own, last in order. Of the one document
+    that a source takes in part its first words stand. An empty table gives an empty one.
+    """
     return by_row(docs, source_mix.apply_mix)
 
 
 def tokenize(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Token ids of every document of the mix, as digests that a decoder has confirmed."""
+    """Token ids of every document of the mix, as digests beside those of the decoded bytes: one row for each row, null ids as they came.
+
+    Null and empty texts have no ids. An empty table gives an empty result.
+    """
     return bpe.bpe_digests(docs, public_tokenizers.path(VOCABULARY), public_tokenizers.PATTERN)
 
 

@@ -134,6 +134,10 @@ def topk(rows: DataFrame, queries: DataFrame, k: int = 5, *, chunk: int = QUERY_
 
 
 def topk_self(vectors: DataFrame, *, every: int = 50, k: int = 5) -> DataFrame:
-    """Queries are the rows whose id is divisible by ``every``; candidates are all rows."""
+    """Queries are the rows whose id is divisible by ``every``; candidates are all rows.
+
+    Rows without an id, null vectors and vectors with null or non-finite components take no part; empty vectors score 0. Ties go to the
+    smaller id. A row is no candidate for any query of its own id. An empty table gives an empty result.
+    """
     rows = integer_weights(vectors)
     return topk(rows, rows.where(F.pmod("vec_id", F.lit(every)) == 0), k)

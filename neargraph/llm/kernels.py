@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
+import gc
 from collections.abc import Iterator
 
 import pyarrow as pa
@@ -64,11 +67,28 @@ def resident(kind: str, key=None, make=lambda: None):
     Workers are used again by later stages, so what a stage has learned must not stay beside what the next one needs.
     """
     if _RESIDENT.get("is") != (kind, key):
-        _RESIDENT.clear()
+        release()
         _RESIDENT["object"] = make()
         _RESIDENT["is"] = (kind, key)
     return _RESIDENT["object"]
 
 
+def release() -> None:
+    """Drops the object that is kept, and gives memory that is free back to the system, where the C library can."""
+    _RESIDENT.clear()
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):
+        ctypes.CDLL(None).malloc_trim(0)
+
+
+def tidy(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """The results of a kernel that keeps nothing for the next task: its memory goes back to the system when it is done."""
+    try:
+        yield from batches
+    finally:
+        release()
+
+
 def record(schema: pa.Schema, *columns) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([c if isinstance(c, pa.Array) else pa.array(c, f.type) for c, f in zip(columns, schema, strict=True)], schema=schema)

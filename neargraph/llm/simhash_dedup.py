@@ -18,7 +18,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from neargraph.llm.kernels import ascii_words, documents_of, pieces, record
+from neargraph.llm.kernels import ascii_words, documents_of, pieces, record, tidy
 from neargraph.operators.linking import _forest, components
 from neargraph.runtime import Scratch, shuffle_partitions
 
@@ -81,7 +81,7 @@ def _fingerprint_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.Recor
 
 def fingerprints(docs: DataFrame) -> DataFrame:
     """``documents`` -> ``(doc_id, fp long)``. Null and empty texts have fingerprint zero."""
-    return documents_of(docs).mapInArrow(_fingerprint_batches, "doc_id long, fp long")
+    return documents_of(docs).mapInArrow(lambda it: tidy(_fingerprint_batches(it)), "doc_id long, fp long")
 
 
 def trie_pairs(group: np.ndarray, values: np.ndarray, budget: int, known: np.ndarray | None = None, *, leaf: int = 64, chunk: int = 1 << 16) -> Iterator[tuple[np.ndarray, np.ndarray]]:
@@ -232,7 +232,7 @@ def hamming_components(classes: DataFrame, scratch: Scratch, *, budget: int = BU
     if settled is not None:
         rows = settled.union(rows)
     rows = rows.select("key", "value", "rep").repartition(shuffle_partitions(scratch.spark), "key").sortWithinPartitions("key")
-    edges = rows.mapInArrow(lambda it: _join_partition(it, budget), "a long, b long")
+    edges = rows.mapInArrow(lambda it: tidy(_join_partition(it, budget)), "a long, b long")
     return components(edges, scratch)
 
 

@@ -22,7 +22,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from neargraph.llm.kernels import ascii_words, documents_of, record, resident
+from neargraph.llm.kernels import ascii_words, documents_of, record, resident, tidy
 from neargraph.runtime import Scratch, shuffle_partitions
 
 LENGTH = 50
@@ -368,7 +368,7 @@ def spans_of_texts(docs: DataFrame, *, length: int = LENGTH, gram: int = GRAM, k
     scratch = Scratch(spark, "suffix")
     n = shuffle_partitions(spark)
     rows = documents_of(docs).where("doc_id is not null").select("doc_id", "text", *text_hashes())
-    texts = scratch.keep(rows.mapInArrow(lambda it: _anchor_batches(it, length, gram, key), _TEXTS))
+    texts = scratch.keep(rows.mapInArrow(lambda it: tidy(_anchor_batches(it, length, gram, key)), _TEXTS))
     long = texts.where(F.col("n_words") >= length)
     # a text's first document stands for all of its copies
     classes = scratch.keep(long.groupBy("t1", "t2").agg(F.min("doc_id").alias("rep"), F.max("n_words").alias("n_words"), (F.min("doc_id") < F.max("doc_id")).alias("copied")))
@@ -385,9 +385,9 @@ def spans_of_texts(docs: DataFrame, *, length: int = LENGTH, gram: int = GRAM, k
     # at most one place for each few words of a text
     work = kept.groupBy("rep", "t1").agg(F.collect_list("x").alias("x")).select("rep", F.col("t1").alias("rep_t1"), F.col("x.at").alias("places"), F.col("x.part").alias("parts"))
     candidates = rows.join(work, (F.col("doc_id") == F.col("rep")) & (F.col("t1") == F.col("rep_t1"))).select("doc_id", "t1", "text", "places", "parts")
-    contexts = scratch.keep(candidates.mapInArrow(lambda it: _context_batches(it, length, key), _CONTEXTS))
+    contexts = scratch.keep(candidates.mapInArrow(lambda it: tidy(_context_batches(it, length, key)), _CONTEXTS))
     ordered = contexts.where("part < 0").repartition(n, "k").sortWithinPartitions("k", "right")
-    verdicts = ordered.mapInArrow(lambda it: _compare_batches(it, length, key), _VERDICTS)
+    verdicts = ordered.mapInArrow(lambda it: tidy(_compare_batches(it, length, key)), _VERDICTS)
     crowded = contexts.where("part >= 0")
     if in_crowds:
         parts = scratch.keep(crowded.groupBy("part").applyInPandas(lambda pdf: _part_classes(pdf, length, key), "part int, w1 long, w2 long, rep long, t1 long, s int, n long"))
@@ -454,5 +454,5 @@ def cut_repeats(docs: DataFrame, **options) -> DataFrame:
     cuts = spans_of_texts(docs, **options).where("later").groupBy(F.col("doc_id").alias("cut_id"), F.col("t1").alias("cut_t1")).agg(F.sort_array(F.collect_set(F.struct("start_word", "end_word"))).alias("cut"))
     joined = docs.join(cuts, (docs.doc_id == cuts.cut_id) & (text_hashes()[0] == F.col("cut_t1")), "left")
     rows = joined.select(*(docs[c] for c in docs.columns), F.col("cut.start_word").alias("cut_starts"), F.col("cut.end_word").alias("cut_ends"))
-    out = rows.mapInArrow(_cut_batches, docs.schema)
+    out = rows.mapInArrow(lambda it: tidy(_cut_batches(it)), docs.schema)
     return out.withColumn("n_chars", F.coalesce(F.length("text").cast("long"), F.col("n_chars"))) if "n_chars" in docs.columns else out
