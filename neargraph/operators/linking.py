@@ -64,12 +64,14 @@ def local_forest(batches: Iterator[pa.RecordBatch], limit: int = 1 << 20) -> Ite
         yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["a", "b"])
 
 
-def components(edges: DataFrame, scratch: Scratch, *, max_rounds: int = 64) -> DataFrame:
+def components(edges: DataFrame, scratch: Scratch, *, max_rounds: int = 64, are_forests: bool = False) -> DataFrame:
     """``edges(a long, b long)`` -> ``(id long, component_id long)`` for every vertex that has an edge.
 
-    ``component_id`` is the smallest vertex reachable. Self-edges and repeated edges are harmless; no edge gives no row.
+    ``component_id`` is the smallest vertex reachable. Self-edges and repeated edges are harmless; no edge gives no row. ``are_forests``
+    says that a kernel has reduced the edges already, so that no second Python worker need stand beside it in each task.
     """
-    left = scratch.keep(edges.where("a <> b").select("a", "b").mapInArrow(local_forest, "a long, b long"))
+    left = edges.where("a <> b").select("a", "b")
+    left = scratch.keep(left if are_forests else left.mapInArrow(local_forest, "a long, b long"))
     labels: DataFrame | None = None
     for _ in range(max_rounds):
         if left.isEmpty():
