@@ -34,6 +34,22 @@ def distance_percentiles() -> str:
     return f"""WITH {V}, {_hit_parts("l2", 10, 10)} SELECT rnk, {", ".join(f"round(quantile_cont(dist, {p / 100}), 6) AS p{p}" for p in (5, 50, 95, 99))} FROM hits GROUP BY rnk"""
 
 
+def angle_spread(degree: int, R: int) -> str:
+    """Neighbours and theirs by distance; the first stays, and what stands at less than 60 degrees from it goes, until R stay."""
+    return f"""WITH RECURSIVE {_base(degree)},
+xs AS (SELECT list(x ORDER BY id) AS xs FROM v),
+near AS (SELECT src, dst AS u FROM base UNION SELECT a.src, b.dst FROM base a JOIN base b ON a.dst = b.src),
+pool AS (SELECT near.src, s.x AS y, list({{'d': list_distance(s.x, t.x), 'i': u}} ORDER BY list_distance(s.x, t.x), u) AS rem
+  FROM near JOIN v s ON s.id = near.src JOIN v t ON t.id = u WHERE u <> near.src GROUP BY near.src, s.x),
+picks AS (
+  SELECT src, y, 0 AS pos, rem[1].i AS dst, rem FROM pool
+  UNION ALL
+  SELECT src, y, pos + 1, rest[1].i, rest FROM (
+    SELECT src, y, pos, list_filter(rem[2:], lambda e: (list_inner_product(xs[e.i + 1], xs[dst + 1]) - list_inner_product(xs[e.i + 1], y) - list_inner_product(xs[dst + 1], y) + list_inner_product(y, y)) / (e.d * rem[1].d) <= 0.5) AS rest
+    FROM picks, xs WHERE pos + 1 < {R}) WHERE len(rest) > 0)
+SELECT src, pos::INTEGER AS pos, dst FROM picks"""
+
+
 def config_map() -> str:
     return """SELECT map_keys(m)[i] AS name, map_values(m)[i] AS value FROM (SELECT MAP {'M': '64', 'k': '10', 'merge': 'auto', 'metric': 'l2', 'p': '1', 'stop': 'exhausted', 'visited': 'full'} AS m), range(1, 8) t(i)"""
 

@@ -385,6 +385,21 @@ def q_search_trace_packed(spark, sf_dir):
     return _rounded(shard.search(Scratch(spark, "packed").keep(index), _asked(v, 20), TRACE, mode="solo"))
 
 
+@query(sql.angle_spread(BASE, 16))
+def q_baseline_angle_spread(spark, sf_dir):
+    """Edges of the angle-spread graph on exact lists."""
+
+    def study(_, ids, v):
+        from neargraph.operators import baselines, local
+
+        x = local.prepared(v, "l2")
+        graph = baselines.angle_spread(local.exact_graph(x, min(BASE, len(x) - 1))[0], x, 16)
+        for src, pos in zip(*(graph >= 0).nonzero(), strict=True):
+            yield int(ids[src]), int(pos), int(ids[graph[src, pos]])
+
+    return workloads.in_task(_vecs(spark, sf_dir), study, "src long, pos int, dst long")
+
+
 @query(sql.distance_percentiles())
 def q_distance_percentiles(spark, sf_dir):
     """Spread of the distances of the nearest, second, ... neighbour."""
@@ -732,6 +747,7 @@ _QUERIES |= {
     "q_w_c4_single_query": _study(workloads.c4_single_query),
     "q_w_c5_scaling": lambda spark, sf_dir: workloads.c5_scaling(Scratch(spark, "line").keep(src.lineitem_vectors(spark, sf_dir))),
     "q_w_best_of_parallelism": _study(workloads.best_of_parallelism),
+    "q_w_baselines": _study(workloads.baseline_graphs),
     "q_w_d1_degree": _study(workloads.d1_degree),
     "q_w_d4_compressed": _study(workloads.d4_compressed),
 }
