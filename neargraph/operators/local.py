@@ -325,6 +325,14 @@ def weak_components(adj: np.ndarray) -> np.ndarray:
         label = new
 
 
+def fresh_distances(q: np.ndarray, x: np.ndarray, rows: np.ndarray, cand: np.ndarray, fresh: np.ndarray, metric: str) -> np.ndarray:
+    """Distances of the candidates (rows, C) that are fresh; the others are infinitely far."""
+    out = np.full(cand.shape, np.inf)
+    r, c = np.nonzero(fresh)
+    out[r, c] = gathered_distances(q[rows[r]], x[cand[r, c]][:, None], metric)[:, 0]
+    return out
+
+
 # ---------------------------------------------------------------- visited sets
 class VisitedSet:
     """Open-addressing tables of 2**bits slots, one for each query, probed in line; counts collisions, overflows and resets.
@@ -377,6 +385,7 @@ class SeenMap:
 
     def __init__(self, queries: int, nodes: int) -> None:
         self.seen = np.zeros((queries, nodes), bool)
+        self._stamp: np.ndarray | None = None
         self.collisions, self.overflows, self.resets = (np.zeros(queries, np.int64) for _ in range(3))
 
     def insert(self, rows: np.ndarray, ids: np.ndarray) -> np.ndarray:
@@ -384,6 +393,20 @@ class SeenMap:
         self.seen[rows, ids] = True
         return new
 
+    def first_time(self, cand: np.ndarray, rows: np.ndarray) -> np.ndarray:
+        """Mask of candidates that are new, of equal ones in a row the first: each writes its number where it would go, the first one last."""
+        if self._stamp is None:
+            self._stamp = np.empty(self.seen.size, np.int32)
+        fresh = (cand >= 0) & ~self.seen[rows[:, None], np.maximum(cand, 0)]
+        r, c = np.nonzero(fresh)
+        spot = rows[r] * self.seen.shape[1] + cand[r, c]
+        number = np.arange(len(spot), dtype=np.int32)
+        self._stamp[spot[::-1]] = number[::-1]
+        again = self._stamp[spot] != number
+        fresh[r[again], c[again]] = False
+        self.seen.ravel()[spot] = True
+        return fresh
+
 
 def full_set(queries: int, nodes: int, slots: int) -> VisitedSet | SeenMap:
     """The smaller of a table of 8-byte slots and of a flag for each node; both answer alike."""
@@ -419,12 +442,16 @@ def _sorted_order(dist: np.ndarray, ids: np.ndarray) -> np.ndarray:
 
 
 def merge_top(ids, dist, flag, c_ids, c_dist, M, how="auto"):
-    """Best M of a sorted list and new candidates. 'merge' sorts the candidates and places both by rank; 'partition' selects, then sorts."""
+    """Best M of a sorted list and new candidates. 'merge' leaves out candidates that are beyond the list's end and sorts the rest in;
+    'partition' selects, then sorts."""
     if how == "auto":
         how = choose_merge(c_ids.shape[1])
-    if how == "merge":
-        order = _sorted_order(c_dist, c_ids)
-        c_ids, c_dist = np.take_along_axis(c_ids, order, 1), np.take_along_axis(c_dist, order, 1)
+    if how == "merge" and ids.shape[1] == M:
+        near = (c_dist <= dist[:, -1:]) & (c_ids >= 0)
+        width = max(1, int(near.sum(axis=1).max(initial=0)))
+        if width < c_ids.shape[1]:
+            place = np.argsort(~near, axis=1, kind="stable")[:, :width]
+            c_ids, c_dist = np.take_along_axis(c_ids, place, 1), np.take_along_axis(c_dist, place, 1)
     all_ids, all_dist = np.concatenate([ids, c_ids], 1), np.concatenate([dist, c_dist], 1)
     all_flag = np.concatenate([flag, np.zeros(c_ids.shape, bool)], 1)
     if how == "partition" and all_ids.shape[1] > 2 * M:
@@ -451,6 +478,8 @@ def merge_top(ids, dist, flag, c_ids, c_dist, M, how="auto"):
 
 def _first_time(cand: np.ndarray, rows: np.ndarray, seen: VisitedSet | None) -> np.ndarray:
     """Mask of candidates (rows, C) not met before, neither in this round nor in the visited set; registers them."""
+    if isinstance(seen, SeenMap):
+        return seen.first_time(cand, rows)
     fresh = cand >= 0
     order = np.argsort(cand, axis=1, kind="stable")
     ordered = np.take_along_axis(cand, order, 1)
@@ -536,7 +565,7 @@ def search_solo(x: np.ndarray, adj: np.ndarray, q: np.ndarray, params: SearchPar
     active = np.arange(count)
     for step in range(params.rounds + 1):
         fresh = _first_time(cand, active, seen)
-        cd = np.where(fresh, gathered_distances(q[active], x[np.maximum(cand, 0)], params.metric), np.inf)
+        cd = fresh_distances(q, x, active, cand, fresh, params.metric)
         n_dist[active] += fresh.sum(axis=1)
         before = ids[active]
         ids[active], dist[active], flag[active] = merge_top(ids[active], dist[active], flag[active], np.where(fresh, cand, -1), cd, M, params.merge)
@@ -603,7 +632,7 @@ def search_team(x: np.ndarray, adj: np.ndarray, q: np.ndarray, params: SearchPar
             fresh[row[first[new]], col[first[new]]] = True
         else:
             fresh = _first_time(cand, active, sets)
-        cd = np.where(fresh, gathered_distances(q[owner], x[np.maximum(cand, 0)], params.metric), np.inf)
+        cd = fresh_distances(q, x, owner, cand, fresh, params.metric)
         np.add.at(n_dist, owner, fresh.sum(axis=1))
         ids[active], dist[active], flag[active] = merge_top(ids[active], dist[active], flag[active], np.where(fresh, cand, -1), cd, M, params.merge)
         np.maximum.at(rounds, owner, step)

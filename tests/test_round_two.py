@@ -37,6 +37,10 @@ def test_flags_answer_as_a_table_does():
     for _ in range(20):
         key = np.unique(rng.integers(0, 500, 40))
         assert (table.insert(key // 100, key % 100) == flags.insert(key // 100, key % 100)).all()
+    table, flags = local.VisitedSet(4, 9), local.SeenMap(4, 50)
+    for _ in range(10):
+        cand = rng.integers(-1, 50, (4, 12))  # with nodes that stand twice in a row
+        assert (local._first_time(cand, np.arange(4), table) == local._first_time(cand, np.arange(4), flags)).all()
     assert isinstance(local.full_set(2, 1000, 256), local.SeenMap) and isinstance(local.full_set(2, 10_000, 256), local.VisitedSet)
 
 
@@ -50,6 +54,25 @@ def test_few_queries_walk_as_many_do(x, graph, options):
     assert np.allclose(many.dist, few.dist)
 
 
+def test_merging_leaves_out_only_what_is_too_far():
+    rng = np.random.default_rng(7)
+    for _ in range(50):
+        M, C = 6, int(rng.integers(1, 20))
+        values = rng.integers(0, 8, (3, M + C)).astype(float)  # many ties
+        ids = np.stack([rng.permutation(100)[: M + C] for _ in range(3)])
+        order = np.lexsort((ids[:, :M], values[:, :M]), axis=1)
+        own_i, own_d = np.take_along_axis(ids[:, :M], order, 1), np.take_along_axis(values[:, :M], order, 1)
+        if rng.random() < 0.5:
+            own_i[:, 4:], own_d[:, 4:] = -1, np.inf
+        flag = rng.random((3, M)) < 0.5
+        got = local.merge_top(own_i, own_d, flag, ids[:, M:], values[:, M:], M, "merge")
+        for r in range(3):
+            entries = [(d, i, f) for d, i, f in zip(own_d[r], own_i[r], flag[r], strict=True) if i >= 0] + [(d, i, False) for d, i in zip(values[r, M:], ids[r, M:], strict=True)]
+            want = sorted(entries, key=lambda e: e[:2])[:M]
+            have = [(d, i, f) for i, d, f in zip(got[0][r], got[1][r], got[2][r], strict=True) if i >= 0]
+            assert have == want
+
+
 def test_slices_of_a_batch_change_nothing(x, graph):
     whole, cut = (local.search_solo(x, graph, x[:90], SearchParams(k=10, M=24, in_step=n), np.arange(90)) for n in (1000, 7))
     assert (whole.ids == cut.ids).all() and (whole.n_dist == cut.n_dist).all()
