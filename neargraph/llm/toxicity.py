@@ -11,7 +11,6 @@ from __future__ import annotations
 
 import re
 import zlib
-from array import array
 from collections.abc import Iterator
 from dataclasses import dataclass, field
 
@@ -21,12 +20,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from neargraph.llm.kernels import documents_of, pieces, record, resident
+from neargraph.llm.kernels import documents_of, pieces, record, resident, tidy
 from neargraph.runtime import prepare
 
 WINDOW, STRIDE = 96, 80
 HIDDEN, WORD_DIM, CHAR_DIM = 8, 4, 4
-WORD_BUCKETS, CHAR_BUCKETS = 1 << 16, 1 << 16
+CHAR_BITS = 16
+WORD_BUCKETS, CHAR_BUCKETS = 1 << 16, 1 << CHAR_BITS
+_BYTE, _SPREAD = np.uint64(0x100000001B3), np.uint64(0x9E3779B97F4A7C15)
 #: Most labelled texts of each class that a fit reads, in the order of a hash of the id.
 SAMPLE_PER_CLASS = 1000
 THRESHOLD = 0.3
@@ -42,24 +43,37 @@ def words_of(text: str | None) -> list[str]:
     return _WORD.findall(text.lower()) if text else []
 
 
-def char_grams(word: str) -> list[int]:
-    """Buckets of the runs of 3 to 6 bytes of a word with its ends marked; long words keep all of them."""
-    marked = f"<{word}>".encode("utf-8", "surrogatepass")
-    return [zlib.crc32(marked[i : i + n]) % CHAR_BUCKETS for n in (3, 4, 5, 6) for i in range(len(marked) - n + 1)] or [0]
-
-
 def word_bucket(word: str) -> int:
     return zlib.crc32(word.encode("utf-8", "surrogatepass")) % WORD_BUCKETS
 
 
 def _buckets(words: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Word buckets; n-gram buckets of all words in a row; how many of them belong to each word."""
-    flat, counts = array("i"), np.empty(len(words), np.int32)
-    for i, word in enumerate(words):
-        own = char_grams(word)
-        counts[i] = len(own)
-        flat.extend(own)
-    return np.fromiter(map(word_bucket, words), np.int32, len(words)), np.frombuffer(flat, np.int32) if len(flat) else np.zeros(0, np.int32), counts
+    """Word buckets; buckets of all words' runs of 3 to 6 bytes, ends marked, in a row; how many of them belong to each word."""
+    raw = [word.encode("utf-8", "surrogatepass") for word in words]
+    own = np.fromiter(map(zlib.crc32, raw), np.int64, len(raw)) % WORD_BUCKETS
+    if not words:
+        return own.astype(np.int32), np.zeros(0, np.int32), np.zeros(0, np.int32)
+    data = np.frombuffer(b"".join([b"<%b>" % r for r in raw]), np.uint8).astype(np.uint64)
+    size = np.fromiter(map(len, raw), np.int64, len(raw)) + 2
+    begin = np.cumsum(size) - size
+    of, place = np.repeat(np.arange(len(raw)), size), np.arange(len(data)) - np.repeat(begin, size)
+    count = np.maximum(size[:, None] - np.arange(2, 6), 0)  # runs of 3, 4, 5 and 6 bytes
+    total = count.sum(axis=1)
+    first = (np.cumsum(total) - total)[:, None] + np.cumsum(count, axis=1) - count
+    flat = np.empty(int(total.sum()), np.int32)
+    with np.errstate(over="ignore"):
+        run = (data[:-1] * _BYTE + data[1:]) if len(data) > 1 else data[:0]
+        for i, n in enumerate((3, 4, 5, 6)):
+            run = run[: len(data) - n + 1] * _BYTE + data[n - 1 :]
+            at = np.flatnonzero(place[: len(run)] + n <= size[of[: len(run)]])
+            mixed = (run[at] ^ (run[at] >> np.uint64(29))) * _SPREAD
+            flat[first[of[at], i] + place[at]] = (mixed >> np.uint64(64 - CHAR_BITS)).astype(np.int32)
+    return own.astype(np.int32), flat, total.astype(np.int32)
+
+
+def char_grams(word: str) -> list[int]:
+    """Buckets of a word's runs of bytes."""
+    return _buckets([word])[1].tolist()
 
 
 def window_starts(n: int) -> list[int]:
@@ -216,6 +230,9 @@ def fit(texts: list[str | None], labels: list[int], *, seed: int = 11, rounds: i
             row[: len(part)] = part + 1 + (d % FOLDS) * (len(words) + 1)
             windows.append(row), of.append(d)
     windows, of = np.array(windows), np.array(of)
+    apart = np.arange(len(texts)) % FOLDS == 0  # texts that only the cut between the classes is found on
+    if len(set(y[apart].tolist())) < 2 or len(set(y[~apart].tolist())) < 2:
+        apart[:] = False
     score = (x[:, 0] + x[:, WORD_DIM])[windows].max(axis=1)
     trained = model.p | {"word": model.word[:, 1:], "char": model.char[:, 1:]}  # the tables as views
     flat = {k: (np.zeros_like(v), np.zeros_like(v)) for k, v in trained.items()}
@@ -243,6 +260,7 @@ def fit(texts: list[str | None], labels: list[int], *, seed: int = 11, rounds: i
     step = 0
     for _ in range(rounds):
         order = np.lexsort((-score, of))
+        order = order[~apart[of[order]]]
         first = np.r_[True, of[order][1:] != of[order][:-1]]
         worst = order[first]
         others = order[~first]
@@ -289,7 +307,8 @@ def fit(texts: list[str | None], labels: list[int], *, seed: int = 11, rounds: i
                 score[part[at : at + 512]] = model.logits(gates, np.maximum(windows[part[at : at + 512]] - low, 0))
     top = np.full(len(texts), -np.inf)
     np.maximum.at(top, of, score)
-    _calibrate(model, top, y)
+    judged = apart if apart.any() else ~apart
+    model.shift = _cut(top[judged], y[judged])
     return model
 
 
@@ -302,8 +321,8 @@ def _initial(rng) -> dict[str, np.ndarray]:
     return out | {"a": draw(2 * h, 1), "o": draw(2 * h, 1), "c": np.zeros(1, np.float32)}
 
 
-def _calibrate(model: Model, top: np.ndarray, y: np.ndarray) -> None:
-    """Puts the best cut between the classes (a false alarm costs three misses), in the middle of its gap, at the threshold."""
+def _cut(top: np.ndarray, y: np.ndarray) -> float:
+    """The best cut between the classes' logits (a false alarm costs three misses), in the middle of its gap."""
     finite = np.isfinite(top)
     order = np.argsort(-top[finite], kind="stable")
     s, t = top[finite][order], y[finite][order]
@@ -311,8 +330,7 @@ def _calibrate(model: Model, top: np.ndarray, y: np.ndarray) -> None:
     alarms = np.cumsum(1 - t)
     best = int(np.argmax(hits / max(1, t.sum()) - 3 * alarms / max(1, (1 - t).sum())))
     low = s[best + 1] if best + 1 < len(s) else s[best] - 1
-    model.shift = float((s[best] + low) / 2)
-    model.base = 0.0
+    return float((s[best] + low) / 2)
 
 
 def _scores(model: Model, logit: np.ndarray) -> np.ndarray:
@@ -322,7 +340,7 @@ def _scores(model: Model, logit: np.ndarray) -> np.ndarray:
 class Scorer:
     """Scores texts with one model; remembers the gate inputs of up to ``max_words`` distinct words."""
 
-    def __init__(self, model: Model, *, max_words: int = 150_000) -> None:
+    def __init__(self, model: Model, *, max_words: int = 50_000) -> None:
         self.model, self.max_words = model, max_words
         self._start()
 
@@ -406,13 +424,17 @@ def toxicity(docs: DataFrame, labels: DataFrame, *, threshold: float = THRESHOLD
     spark = prepare(docs.sparkSession)
     model = fit_on(docs, labels, per_class=per_class, **options)
     shared = spark.sparkContext.broadcast(model)  # fixed size: two tables and a few small matrices
-    scored = documents_of(docs).mapInArrow(lambda it: _score_batches(it, shared), "doc_id long, score double")
+    scored = documents_of(docs).mapInArrow(lambda it: tidy(_score_batches(it, shared)), "doc_id long, score double")
     held = F.coalesce(F.crc32(F.col("doc_id").cast("string").cast("binary")) % 4 == 2, F.lit(False))
     return scored.select("doc_id", held.alias("held_out"), "score", (F.col("score") >= threshold).cast("int").alias("predicted"))
 
 
 def annotate(docs: DataFrame, labels: DataFrame, *, threshold: float = THRESHOLD, per_class: int = SAMPLE_PER_CLASS, **options) -> DataFrame:
-    """The rows of ``docs`` themselves with ``score`` and ``predicted`` added, without a join by id."""
+    """The rows of ``docs`` themselves with ``score`` and ``predicted`` added, without a join by id.
+
+    Null, empty and wordless texts score near 0; repeated rows, rows without an id and other columns come back as they came; an empty
+    table gives an empty result.
+    """
     spark = prepare(docs.sparkSession)
     shared = spark.sparkContext.broadcast(fit_on(docs, labels, per_class=per_class, **options))
 
@@ -427,4 +449,4 @@ def annotate(docs: DataFrame, labels: DataFrame, *, threshold: float = THRESHOLD
     if "score" in docs.columns:
         raise ValueError("the documents have a column named score already")
     schema = T.StructType([*docs.schema.fields, T.StructField("score", T.DoubleType())])
-    return docs.mapInArrow(run, schema).withColumn("predicted", (F.col("score") >= threshold).cast("int"))
+    return docs.mapInArrow(lambda it: tidy(run(it)), schema).withColumn("predicted", (F.col("score") >= threshold).cast("int"))
