@@ -47,14 +47,14 @@ def merge_by_rank(piece: bytes, ranks: dict[bytes, int]) -> list[int]:
     return [ranks[p] for p in parts]
 
 
-_NEVER = 1 << 60
+_NEVER = (1 << 32) - 1
 _HEAD = 6
 
 
 class Transducer:
     """Encodes pieces of bytes. ``max_states`` and ``max_stable`` bound the memory: the tables start anew beyond them."""
 
-    def __init__(self, ranks: dict[bytes, int], *, max_states: int = 100_000, max_stable: int = 300_000) -> None:
+    def __init__(self, ranks: dict[bytes, int], *, max_states: int = 100_000, max_stable: int = 200_000) -> None:
         self.ranks = ranks
         self.token_bytes = {r: t for t, r in ranks.items()}
         self.max_states, self.max_stable = max_states, max_stable
@@ -75,7 +75,7 @@ class Transducer:
         missing = [b for b in range(256) if bytes([b]) not in ranks]
         if missing:
             raise ValueError(f"no token for the single bytes {missing[:5]}")
-        self._edge_cache: dict[int, tuple | None] = {}
+        self._edge_cache: dict[int, tuple[array, array] | None] = {}
         self._stable: dict[int, bool] = {}
         self._reset()
 
@@ -87,23 +87,26 @@ class Transducer:
         self._missed: set[int] = set()
         self._heads: dict[bytes, tuple[int, tuple[int, ...]]] = {}
 
-    def _edges(self, token: int) -> tuple[list[tuple[int, int]], list[tuple[int, int]]] | None:
-        """(token, time at which it is merged away) along the right and the left edge of a token's merges, single byte first.
+    def _edges(self, token: int) -> tuple[array, array] | None:
+        """Along the right and the left edge of a token's merges, single byte first: tokens, each beside the time at which it is merged away.
 
-        None for a token that its own merges do not give: it is never the result of a merge.
+        A token and its time are packed into one number, as all tokens keep their edges. None for a token that its own merges do not
+        give: it is never the result of a merge.
         """
         if token in self._edge_cache:
             return self._edge_cache[token]
         piece = self.token_bytes[token]
         out = None
+        last = token << 32 | _NEVER
         if len(piece) == 1:
-            out = ([(token, _NEVER)], [(token, _NEVER)])
+            out = (array("Q", [last]), array("Q", [last]))
         elif (halves := self._last_merge(piece)) is not None:
             left, right = self._edges(halves[0]), self._edges(halves[1])
             if left is not None and right is not None:
-                ends = [*right[0][:-1], (halves[1], token), (token, _NEVER)]
-                starts = [*left[1][:-1], (halves[0], token), (token, _NEVER)]
-                out = (ends, starts)
+                out = (right[0][:-1], left[1][:-1])
+                for edge, half in zip(out, halves[::-1], strict=True):
+                    edge.append(half << 32 | token)
+                    edge.append(last)
         self._edge_cache[token] = out
         return out
 
@@ -129,7 +132,7 @@ class Transducer:
             ends, starts, i, j, got = self._edges(first)[0], self._edges(second)[1], 0, 0, True
             ranks, names = self.ranks, self.token_bytes
             while True:
-                (a, gone_a), (b, gone_b) = ends[i], starts[j]
+                a, gone_a, b, gone_b = ends[i] >> 32, ends[i] & _NEVER, starts[j] >> 32, starts[j] & _NEVER
                 merged = ranks.get(names[a] + names[b], _NEVER)
                 if merged < gone_a and merged <= gone_b:  # of equal merges the left one goes first
                     got = False
@@ -255,7 +258,7 @@ class PieceEncoder:
     arrays when first met and serve later batches, until there are more than ``max_states``; then the table starts anew.
     """
 
-    def __init__(self, own: Transducer, *, max_states: int = 400_000) -> None:
+    def __init__(self, own: Transducer, *, max_states: int = 250_000) -> None:
         self.own, self.max_states = own, max_states
         edges = np.fromiter(own._step.keys(), np.int64, len(own._step))
         order = np.argsort(edges)
