@@ -233,7 +233,7 @@ def hamming_components(classes: DataFrame, scratch: Scratch, *, budget: int = BU
         rows = settled.union(rows)
     rows = rows.select("key", "value", "rep").repartition(shuffle_partitions(scratch.spark), "key").sortWithinPartitions("key")
     edges = rows.mapInArrow(lambda it: tidy(_join_partition(it, budget)), "a long, b long")
-    return components(edges, scratch)
+    return components(edges, scratch, are_forests=True)
 
 
 def simhash_dedup(docs: DataFrame, *, budget: int = BUDGET_BITS, block_rows: int = BLOCK_ROWS) -> DataFrame:
