@@ -99,6 +99,17 @@ def descent_edges(vecs: DataFrame, degree: int, scratch: Scratch, *, metric: str
     return lists.select("src", (F.col("rank") - 1).alias("rank"), "dst", "dist")
 
 
+#: Vectors up to which the base graph compares all pairs.
+EXACT_ROWS = 200_000
+
+
+def base_edges(vecs: DataFrame, degree: int, scratch: Scratch, *, metric: str = "l2", exact_rows: int = EXACT_ROWS) -> DataFrame:
+    """Base graph (src, rank, dst, dist): all pairs of a small set, neighbour descent beyond, whose work grows with the number of nodes."""
+    if vecs.select("id").limit(exact_rows + 1).count() <= exact_rows:
+        return knn_edges(vecs, degree, metric=metric)
+    return descent_edges(vecs, degree, scratch, metric=metric)
+
+
 def radius_join(vecs: DataFrame, queries: DataFrame, r: float, *, metric: str = "l2", n_queries: int | None = None, dim: int = 1024) -> DataFrame:
     """(qid, nid, dist) of all vectors within ``r`` of each query."""
     q = _small(queries.select("qid", F.col("vec").alias("qvec")), queries.count() if n_queries is None else n_queries, dim)

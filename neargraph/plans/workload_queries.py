@@ -49,7 +49,8 @@ def _rounded(hits: DataFrame) -> DataFrame:
 
 def _base(spark, sf_dir, degree: int = BASE) -> DataFrame:
     """Exact base edges, written once, as every later step reads them several times."""
-    return Scratch(spark, "base").keep(rel.knn_edges(_vecs(spark, sf_dir), degree))
+    scratch = Scratch(spark, "base")
+    return scratch.keep(rel.base_edges(_vecs(spark, sf_dir), degree, scratch))
 
 
 def _index(spark, sf_dir, d: int = 16, shards: int = 1, base: str = "exact", **options) -> DataFrame:
@@ -743,6 +744,7 @@ _QUERIES |= {
     "q_w_c1_build_time_documents": _documents(workloads.c1_build_time, 200),
     "q_w_c2_graph_quality": _study(workloads.c2_graph_quality),
     "q_w_c2_graph_quality_documents": _documents(workloads.c2_graph_quality, 256),
+    "q_w_c2_graph_quality_documents_960": _documents(workloads.c2_graph_quality, 960),
     "q_w_c3_large_batch": _study(workloads.c3_large_batch),
     "q_w_c4_single_query": _study(workloads.c4_single_query),
     "q_w_c5_scaling": lambda spark, sf_dir: workloads.c5_scaling(Scratch(spark, "line").keep(src.lineitem_vectors(spark, sf_dir))),

@@ -131,6 +131,13 @@ def test_descent_in_rounds_finds_the_neighbours(spark, vecs):
         rel.descent_edges(vecs.where("id > 3"), 12, Scratch(spark, "test"))
 
 
+def test_the_base_graph_of_a_large_set_comes_by_descent(spark, vecs):
+    exact = rel.base_edges(vecs, 12, Scratch(spark, "test"))
+    assert exact.exceptAll(rel.knn_edges(vecs, 12)).isEmpty()
+    found = rel.base_edges(vecs, 12, Scratch(spark, "test"), exact_rows=399)
+    assert found.columns == exact.columns and found.count() == 400 * 12
+
+
 def test_speed_up_at_equal_recall(spark):
     rows = [("uniform M=8", "recall", 0.8), ("uniform M=8", "qps", 100.0), ("uniform M=16", "recall", 1.0), ("uniform M=16", "qps", 50.0), ("other M=8", "recall", 0.8), ("other M=8", "qps", 30.0), ("other M=9", "recall", 0.96), ("other M=9", "qps", 10.0), ("low M=9", "recall", 0.5), ("low M=9", "qps", 900.0)]
     got = {(r[0], r[1]): r[2] for r in workloads.with_speedups(spark.createDataFrame(rows, "setting string, measure string, value double"), levels=(0.9,)).collect()}
