@@ -435,9 +435,19 @@ def _sorted_order(dist: np.ndarray, ids: np.ndarray) -> np.ndarray:
     """Order of each row by (distance, id), nodes that are not there (-1, at no finite distance) last."""
     order = np.argsort(dist, axis=1, kind="stable")
     ranked = np.take_along_axis(dist, order, 1)
-    tied = np.flatnonzero(((ranked[:, 1:] == ranked[:, :-1]) & (ranked[:, 1:] < np.inf)).any(axis=1))
-    if len(tied):
+    row, col = np.nonzero((ranked[:, 1:] == ranked[:, :-1]) & (ranked[:, 1:] < np.inf))
+    if len(row) > dist.size // 8:  # many ties: sort these rows again
+        tied = np.unique(row)
         order[tied] = np.lexsort((np.where(ids[tied] < 0, np.iinfo(np.int64).max, ids[tied]), dist[tied]), axis=1)
+        return order
+    quiet = 0 if len(row) else 2
+    while quiet < 2:  # a few: neighbours change places, those at even and at odd places in turns, until none has to
+        for side in (0, 1):
+            r, c = row[col & 1 == side], col[col & 1 == side]
+            first, second = order[r, c], order[r, c + 1]
+            wrong = ids[r, first] > ids[r, second]
+            order[r[wrong], c[wrong]], order[r[wrong], c[wrong] + 1] = second[wrong], first[wrong]
+            quiet = 0 if wrong.any() else quiet + 1
     return order
 
 
