@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 from neargraph.functions.distance import METRICS, distance
 from neargraph.operators import exact
 from neargraph.operators import relational as rel
+from neargraph.runtime import Scratch
 
 
 @pytest.fixture(scope="module")
@@ -50,6 +51,18 @@ def test_no_plan_pairs_single_vectors(spark, odd, capsys):
     assert "zip_with" not in plan and "MapInArrow" in plan[plan.index("WindowGroupLimit") :]
 
 
+def test_descent_sends_small_sets_and_joins_large_ones(spark, monkeypatch):
+    """The edges are the same; only large sets go through the joins of pairs and vectors."""
+    x = np.random.default_rng(8).normal(size=(150, 8)).astype(np.float32)
+    vecs = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "id long, vec array<float>").cache()
+    calls = []
+    monkeypatch.setattr(rel, "distance", lambda *a, f=distance: calls.append(a) or f(*a))
+    sent = {tuple(r) for r in rel.descent_edges(vecs, 8, Scratch(spark, "test")).collect()}
+    assert not calls
+    monkeypatch.setattr(rel, "SENT_BYTES", 0)
+    assert sent == {tuple(r) for r in rel.descent_edges(vecs, 8, Scratch(spark, "test")).collect()} and calls
+
+
 def test_vectors_of_unequal_lengths_are_refused(spark):
     rows = spark.createDataFrame([(0, [1.0, 2.0]), (1, [1.0])], "id long, vec array<float>")
     with pytest.raises(Exception, match="differ in length"):
