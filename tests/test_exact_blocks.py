@@ -68,3 +68,50 @@ def test_vectors_of_unequal_lengths_are_refused(spark):
     with pytest.raises(Exception, match="differ in length"):
         rel.knn_edges(rows, 1).collect()
     assert rel.exact_knn(rows.where("false"), rows.select(F.col("id").alias("qid"), "vec"), 3).count() == 0
+
+
+def _nearest(x, y, k, metric, exclude_self):
+    """The answer of the kernel in blocks of 50 rows, and what all pairs give."""
+
+    def side(v, at):
+        return exact.Side(np.arange(at, at + len(v)).tobytes(), v.astype("<f8").tobytes(), bytes(len(v)), 8, metric)
+
+    near = exact.Nearest(side(y, 0), k, metric, exclude_self)
+    for at in range(0, len(x), 50):
+        near.add(side(x[at : at + 50], at))
+    q, v = side(y, 0), side(x, 0)
+    row, col = (a.ravel() for a in np.indices((len(y), len(x))))
+    row, col = (row[row != col], col[row != col]) if exclude_self else (row, col)
+    with np.errstate(all="ignore"):
+        dist = exact.measured(q, v, row, col, metric)
+    order = np.lexsort((col, dist, row))
+    row, col, dist = row[order], col[order], dist[order]
+    first = np.arange(len(row)) - np.searchsorted(row, row) < k
+    return near, (near.row.tolist(), near.id.tolist(), near.dist.tolist()), (row[first].tolist(), col[first].tolist(), dist[first].tolist())
+
+
+@pytest.mark.parametrize("metric", METRICS)
+@pytest.mark.parametrize("scale", [1e-170, 1e-42, 1e-25, 1e-12, 1.0, 3e14, 1e17, 1e140])
+def test_bounds_hold_at_any_scale(metric, scale):
+    rng = np.random.default_rng(3)
+    for spread in (np.ones(400), 10.0 ** rng.integers(-6, 7, 400)):
+        x = rng.normal(size=(400, 12)) * spread[:, None] * scale
+        x[40:60] = x[20:40] * (1 + 1e-9)
+        x[60:80] = x[20:40]
+        x[7], x[9] = 0, x[8]
+        for exclude_self in (False, True):
+            _, got, asked = _nearest(x, x[:90], 6, metric, exclude_self)
+            assert got == asked
+
+
+@pytest.mark.parametrize("metric", ["l2", "sql2", "ip"])
+def test_single_precision_bounds_plain_vectors_and_double_what_it_cannot_tell(metric, monkeypatch):
+    """CPU seconds of q_knn_graph grew as the input to the power 1.43 with bounds in double precision alone."""
+    x = np.random.default_rng(4).normal(size=(600, 16))
+    double, calls = exact._bounds, []
+    monkeypatch.setattr(exact, "_bounds", lambda *a: calls.append(a) or double(*a))
+    _, got, asked = _nearest(x, x[:64], 3, metric, True)
+    assert got == asked and not calls
+    near, got, asked = _nearest(x * 1e-4 + 1e3, x[:64] * 1e-4 + 1e3, 1, metric, True)
+    assert got == asked and bool(calls) == (not near.coarse)
+    assert metric == "ip" or calls
