@@ -4,11 +4,13 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from neargraph.operators import exact
 from neargraph.operators import relational as rel
 
 
 @pytest.mark.parametrize("metric", ["l2", "ip", "cosine"])
 def test_sent_vectors_are_in_no_join_and_give_the_same_rows(spark, metric, monkeypatch, capsys):
+    monkeypatch.setattr(exact, "VECTOR_BLOCK", 64)
     rng = np.random.default_rng(9)
     x = rng.integers(-2, 3, (260, 4)).astype(np.float32)
     x[5], x[9, 1] = 0, np.nan
