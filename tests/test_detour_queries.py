@@ -6,7 +6,7 @@ from neargraph.operators import relational as rel
 from neargraph.plans import workload_queries
 
 
-@pytest.mark.parametrize("name", ["q_detour_prune_baseline", "q_distance_pruned"])
+@pytest.mark.parametrize("name", ["q_detour_prune_baseline", "q_distance_pruned", "q_rank_pruned"])
 def test_no_join_of_edges(spark, sf, name, capsys):
     workload_queries.queries()[name](spark, sf).explain()
     plan = capsys.readouterr().out
