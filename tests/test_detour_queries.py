@@ -11,3 +11,18 @@ def test_no_join_of_edges(spark, sf, name, capsys):
     workload_queries.queries()[name](spark, sf).explain()
     plan = capsys.readouterr().out
     assert "Join" not in plan and "MapInArrow" in plan
+
+
+@pytest.mark.parametrize("name", ["q_forget_reset"])
+def test_a_walk_counts_detours_once(spark, sf, name, monkeypatch, capsys):
+    """Both halves of the lists came from one plan that counted the detours each time."""
+    plans, mix = [], rel.interleaved
+
+    def seen(edges, d):
+        edges.explain()
+        plans.append(capsys.readouterr().out)
+        return mix(edges, d)
+
+    monkeypatch.setattr(rel, "interleaved", seen)
+    workload_queries.queries()[name](spark, sf)
+    assert len(plans) == 1 and "MapInArrow" not in plans[0] and "Scan parquet" in plans[0]
