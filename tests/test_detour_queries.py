@@ -13,7 +13,7 @@ def test_no_join_of_edges(spark, sf, name, capsys):
     assert "Join" not in plan and "MapInArrow" in plan
 
 
-@pytest.mark.parametrize("name", ["q_forget_reset", "q_forget_reset_counts"])
+@pytest.mark.parametrize("name", ["q_forget_reset", "q_forget_reset_counts", "q_forget_every_third_counts"])
 def test_a_walk_counts_detours_once(spark, sf, name, monkeypatch, capsys):
     """Both halves of the lists came from one plan that counted the detours each time."""
     plans, mix = [], rel.interleaved
