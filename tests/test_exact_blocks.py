@@ -115,3 +115,17 @@ def test_single_precision_bounds_plain_vectors_and_double_what_it_cannot_tell(me
     near, got, asked = _nearest(x * 1e-4 + 1e3, x[:64] * 1e-4 + 1e3, 1, metric, True)
     assert got == asked and bool(calls) == (not near.coarse)
     assert metric == "ip" or calls
+
+
+@pytest.mark.parametrize("metric", METRICS)
+def test_bounds_are_looked_through_in_tiles(metric, monkeypatch):
+    """A block's matrix of 16 MB in q_detour_prune_baseline left the cache of its core before it was looked through."""
+    monkeypatch.setattr(exact, "TILE", 350)
+    sizes = []
+    for name in ("_coarse", "_bounds"):
+        monkeypatch.setattr(exact, name, lambda *a, bounds=getattr(exact, name): sizes.append(bounds(*a)[0].size) or bounds(*a))
+    x = np.random.default_rng(7).integers(-3, 4, (330, 4)).astype(float)  # many ties
+    for exclude_self in (False, True):
+        _, got, asked = _nearest(x, x[:90], 6, metric, exclude_self)
+        assert got == asked
+    assert sizes and max(sizes) <= 350
