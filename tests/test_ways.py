@@ -45,3 +45,17 @@ def test_edges_that_stand_twice_or_have_no_length_are_joined(spark, edges, monke
         held, joined = _both(frame, "distance", monkeypatch, capsys)
         assert repr(held[:2]) == repr(joined[:2]) and held[2]
     assert rel.detours(edges.where("false")).count() == 0
+
+
+@pytest.mark.parametrize("weight", ["rank", "distance"])
+def test_lists_are_cut_where_they_are_counted(spark, edges, weight, monkeypatch, capsys):
+    """q_distance_pruned and q_rank_pruned shuffled every edge once more to keep a third of them."""
+    out = []
+    for most in (1 << 22, 0):
+        monkeypatch.setattr(ways, "SENT_EDGES", most)
+        found = rel.reordered(edges, 5, weight)
+        found.explain()
+        out.append((sorted(tuple(r) for r in found.collect()), found.dtypes, "Exchange" in capsys.readouterr().out))
+    asked = rel.pruned(rel.detours(edges, weight), 5)
+    assert out[0][:2] == out[1][:2] == (sorted(tuple(r) for r in asked.collect()), asked.dtypes)
+    assert not out[0][2] and out[1][2] and rel.reordered(edges.where("false"), 5, weight).count() == 0
