@@ -26,3 +26,11 @@ def test_a_walk_counts_detours_once(spark, sf, name, monkeypatch, capsys):
     monkeypatch.setattr(rel, "interleaved", seen)
     workload_queries.queries()[name](spark, sf)
     assert len(plans) == 1 and "MapInArrow" not in plans[0] and "Scan parquet" in plans[0]
+
+
+@pytest.mark.parametrize("name", ["q_distance_pruned", "q_rank_pruned", "q_forget_reset_counts", "q_forget_every_third_counts"])
+def test_counted_edges_are_not_shuffled_to_be_cut(spark, sf, name, monkeypatch):
+    calls, cut = [], rel.pruned
+    monkeypatch.setattr(rel, "pruned", lambda *a: calls.append(a) or cut(*a))
+    workload_queries.queries()[name](spark, sf)
+    assert not calls
