@@ -7,7 +7,7 @@ from neargraph.operators import relational as rel
 from neargraph.plans import workload_queries
 
 
-@pytest.mark.parametrize("name", ["q_degrees", "q_detour_distance", "q_detour_prune_baseline", "q_detour_rank", "q_distance_pruned", "q_forget_every_third_counts", "q_forget_reset", "q_forget_reset_counts", "q_indegree", "q_rank_family", "q_rank_pruned"])
+@pytest.mark.parametrize("name", ["q_degrees", "q_detour_distance", "q_detour_prune_baseline", "q_detour_rank", "q_distance_pruned", "q_forget_every_third_counts", "q_forget_reset", "q_forget_reset_counts", "q_indegree", "q_rank_family", "q_rank_pruned", "q_reach_pivot"])
 def test_the_base_graph_is_exact_whatever_the_size(spark, sf, name, monkeypatch):
     many = spark.range(200_001).select("id", F.array(F.col("id").cast("float")).alias("vec"))
     asked = []
